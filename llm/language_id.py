@@ -24,8 +24,9 @@ from llm.store import holdout
 
 UNDETERMINED = "und"
 WINDOW = 1024
-#: Documents that training reads at most, chosen by a hash of their id.
+#: Documents that training reads at most, chosen by a hash of their id, and characters of each.
 MAX_TRAIN_DOCS = 6000
+MAX_TRAIN_CHARS = 20_000
 
 SYMBOLS = 32
 _letter = re.compile(r"[^\W\d_]")
@@ -177,7 +178,11 @@ def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang
     known = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("y")).where("t is not null and y is not null and t rlike '\\\\p{L}'")
     if condition:
         known = known.where(condition.replace(id_col, "i"))
-    sample = known.orderBy(F.xxhash64("i"), "i", F.xxhash64("t")).limit(max_docs).select("t", "y").toPandas()
+    rank = F.xxhash64("i")
+    last = known.select(rank.alias("h")).orderBy("h").limit(max_docs).agg(F.max("h")).first()[0]  # hashes alone: texts of rows beyond the sample are never sent
+    if last is None:
+        raise ValueError("no labelled text to learn a language from")
+    sample = known.where(rank <= last).select("i", F.substring("t", 1, MAX_TRAIN_CHARS).alias("t"), "y").limit(max_docs).toPandas().sort_values(["i", "t"])
     return train(sample["t"].tolist(), sample["y"].astype(str).tolist())
 
 

@@ -21,8 +21,9 @@ from llm.textkit import U64, PrefixHash, join_texts, mix64, text_batches, word_s
 BITS = 17
 DIM = 16
 NGRAMS = (3, 4)
-#: Labelled documents that training reads at most, chosen by a hash of their id.
+#: Labelled documents that training reads at most, chosen by a hash of their id, and characters of each.
 MAX_TRAIN_DOCS = 6000
+MAX_TRAIN_CHARS = 20_000
 THRESHOLD = 0.3
 
 
@@ -121,7 +122,7 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str, *, condition: str |
         known = known.where(condition)
     known = known.groupBy("doc_id").agg(F.max("y").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_docs)
     rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(known), "doc_id")  # max_docs rows bound the broadcast
-    sample = rows.orderBy(F.xxhash64("doc_id"), "doc_id", F.xxhash64("text")).limit(max_docs).select("text", "y").toPandas()
+    sample = rows.select("doc_id", F.substring("text", 1, MAX_TRAIN_CHARS).alias("text"), "y").limit(max_docs).toPandas().sort_values(["doc_id", "text"])
     return train(sample["text"].tolist(), sample["y"].tolist())
 
 

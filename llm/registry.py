@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from llm import language_id, quality
+from llm import language_id, packing, quality
 
 
 def queries() -> dict:
     return {
         "op3_quality": quality.op3,
+        "op10_packing": packing.op10,
         "op7_language_id": language_id.op7,
     }
 
