@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from llm import language_id, packing, quality
+from llm import decontamination, language_id, packing, quality, sharding
 
 
 def queries() -> dict:
     return {
         "op3_quality": quality.op3,
         "op10_packing": packing.op10,
+        "op4_decontamination": decontamination.op4,
+        "op5_sharding": sharding.op5,
         "op7_language_id": language_id.op7,
     }
 
