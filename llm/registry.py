@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from llm import decontamination, language_id, packing, quality, sharding
+from llm import decontamination, html_text, language_id, packing, quality, sharding, toxicity
 
 
 def queries() -> dict:
@@ -11,7 +11,9 @@ def queries() -> dict:
         "op10_packing": packing.op10,
         "op4_decontamination": decontamination.op4,
         "op5_sharding": sharding.op5,
+        "op6_html_text": html_text.op6,
         "op7_language_id": language_id.op7,
+        "op8_toxicity": toxicity.op8,
     }
 
 
