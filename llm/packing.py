@@ -59,6 +59,9 @@ class WordTokenizer:
 
         self.library = Tokenizer.from_file(path)
         self.known: dict[str, bytes] = {}
+        vocab = self.library.get_vocab()
+        self.ends_word = np.zeros(max(vocab.values()) + 1, dtype=bool)
+        self.ends_word[[i for token, i in vocab.items() if token.endswith("</w>")]] = True
 
     @staticmethod
     def _pack(ids) -> bytes:
@@ -69,11 +72,21 @@ class WordTokenizer:
             self.known.clear()
         known = self.known
         words = [None if _other.search(t) else _word.findall(t.lower()) for t in texts]
-        new = list(set().union(*(w for w in words if w)) - known.keys())
-        for word, e in zip(new, self.library.encode_batch(new, add_special_tokens=False), strict=True):
-            known[word] = self._pack(e.ids)
+        self._learn([w for w in set().union(*(w for w in words if w)) if w not in known])
         return [self._pack(self.library.encode(t, add_special_tokens=False).ids) if w is None else b"".join(map(known.__getitem__, w)) for t, w in zip(texts, words, strict=True)]
 
+    def _learn(self, words: list[str], chunk: int = 500) -> None:
+        """Ids of new words, many to a call: in a line of words, an id that ends a word says where to cut."""
+        parts = [words[a : a + chunk] for a in range(0, len(words), chunk)]
+        for part, e in zip(parts, self.library.encode_batch_fast([" ".join(p) for p in parts], add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, dtype="<u4")
+            cut, raw = (4 * (np.flatnonzero(self.ends_word[ids]) + 1)).tolist(), ids.tobytes()
+            for word, a, b in zip(part, [0, *cut], cut, strict=False):
+                self.known[word] = raw[a:b]
+            if len(cut) != len(part):  # never seen; then word by word
+                for word in part:
+                    self.known[word] = self._pack(self.library.encode(word, add_special_tokens=False).ids)
+
 
 _tokenizers: dict[str, WordTokenizer] = {}
 
