@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from llm import decontamination, html_text, language_id, packing, quality, sharding, toxicity
+from llm import decontamination, html_text, language_id, near_duplicates, packing, quality, sharding, toxicity
 
 
 def queries() -> dict:
     return {
         "op3_quality": quality.op3,
         "op10_packing": packing.op10,
+        "op1_near_duplicates": near_duplicates.op1,
         "op4_decontamination": decontamination.op4,
         "op5_sharding": sharding.op5,
         "op6_html_text": html_text.op6,
