@@ -38,7 +38,7 @@ def default_tokenizer_file() -> str:
 
 
 # The pre-tokenisation pattern of the vocabulary file, for Latin text.
-_word = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
+_word = re.compile(r"[^\W\d_]+|'(?:s|t|re|ve|m|ll|d)|\d|(?:[^\s\w]|_)+")
 #: Characters for which the shortcut below could differ from the library, and the mark of special tokens.
 _other = re.compile("[\x00-\x08\x0e-\x1f\x7f-\xa0\xad\xb2\xb3\xb9\xbc-\xbeİɐ-\U0010ffff]|<\\|")
 
