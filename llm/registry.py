@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from llm import decontamination, html_text, language_id, near_duplicates, packing, quality, sharding, suffix_dedup, toxicity
+from llm import decontamination, html_text, language_id, near_duplicates, neighbours, packing, quality, sharding, suffix_dedup, toxicity
 
 
 def queries() -> dict:
     return {
         "op2_suffix_dedup": suffix_dedup.op2,
         "op3_quality": quality.op3,
+        "op9_neighbours": neighbours.op9,
         "op10_packing": packing.op10,
         "op1_near_duplicates": near_duplicates.op1,
         "op4_decontamination": decontamination.op4,
