@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -47,14 +48,20 @@ def _sliding(x: np.ndarray, w: int, op) -> np.ndarray:
     return op(behind[:n], ahead[w - 1 : w - 1 + n])
 
 
-def anchors(buf: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
-    """Places in buf and gram hashes of the anchors of the texts buf[offsets[i]:offsets[i+1]]; texts under `length` bytes have none."""
+def anchors(buf: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Anchors of the texts buf[offsets[i]:offsets[i+1]]; texts under `length` bytes have none.
+
+    Returns their places in buf, gram hashes, the hashes of their contexts (up to length - gram
+    bytes before the place, up to length from it on), and the two reaches of these contexts.
+    """
     span = length - gram + 1
     n = len(buf) - gram + 1
+    none = np.zeros(0, np.int64)
     if n < span:
-        return np.zeros(0, np.int64), np.zeros(0, U64)
+        return none, none.astype(U64), none.astype(U64), none, none
     at = np.arange(n)
-    h = mix64(PrefixHash(buf).raw(at, at + gram)) | U64(1)
+    sums = PrefixHash(buf)
+    h = mix64(sums.raw(at, at + gram)) | U64(1)
     size = np.diff(offsets)
     left = np.repeat(offsets[1:], size)[:n] - at  # bytes from here to the text's end
     h[left < gram] = np.iinfo(U64).max
@@ -63,7 +70,10 @@ def anchors(buf: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: in
     pad = np.zeros(span - 1, dtype=U64)
     high = _sliding(np.concatenate([pad, low, pad]), span, np.maximum)[:n]
     place = np.flatnonzero((h == high) & (left >= gram))
-    return place, h[place]
+    first = np.repeat(offsets[:-1], size)[place]
+    reach, ahead = np.minimum(place - first, span - 1), np.minimum(left[place], length)
+    cx = mix64(sums.raw(place - reach, place + ahead) ^ mix64((reach * 1024 + ahead).astype(U64)))
+    return place, h[place], cx, reach, ahead
 
 
 def _raw(text) -> bytes:
@@ -82,38 +92,42 @@ def _batches(raw: list[bytes]):
 
 
 def find_anchors(keyed: DataFrame) -> DataFrame:
-    """(k1, k2, pos, h) for each anchor of each text."""
+    """(k1, k2, pos, reach, ahead, h, cx) for each anchor of each text."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for df in batches:
             raw, k1, k2 = [_raw(t) for t in df["text"]], df["k1"].to_numpy(), df["k2"].to_numpy()
             for a, b in _batches(raw):
                 offsets = np.concatenate(([0], np.cumsum([len(r) for r in raw[a:b]])))
-                place, h = anchors(np.frombuffer(b"".join(raw[a:b]), dtype=np.uint8), offsets)
+                place, h, cx, reach, ahead = anchors(np.frombuffer(b"".join(raw[a:b]), dtype=np.uint8), offsets)
                 who = np.searchsorted(offsets, place, side="right") - 1
-                yield pd.DataFrame({"k1": k1[a:b][who], "k2": k2[a:b][who], "pos": (place - offsets[who]).astype(np.int32), "h": h.view(np.int64)})
+                yield pd.DataFrame({"k1": k1[a:b][who], "k2": k2[a:b][who], "pos": (place - offsets[who]).astype(np.int32), "reach": reach.astype(np.int16), "ahead": ahead.astype(np.int16), "h": h.view(np.int64), "cx": cx.view(np.int64)})
 
-    return keyed.where(f"octet_length(text) >= {LENGTH}").select("k1", "k2", "text").mapInPandas(run, "k1 long, k2 long, pos int, h long")
+    return keyed.where(f"octet_length(text) >= {LENGTH}").select("k1", "k2", "text").mapInPandas(run, "k1 long, k2 long, pos int, reach short, ahead short, h long, cx long")
 
 
-CONTEXT = "h long, cx long, hot boolean, k1 long, k2 long, pos int, reach int, around binary"
+CONTEXT = "h long, hot boolean, k1 long, k2 long, pos int, reach int, around binary"
 
 
 def contexts(marked: DataFrame) -> DataFrame:
-    """The bytes around each shared anchor: up to LENGTH - GRAM before it (reach of them) and LENGTH from it on; cx is their hash."""
+    """The bytes around each anchor in `marks`: up to LENGTH - GRAM before it (reach of them) and LENGTH from it on."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for df in batches:
-            rows = []
+            h, hot, k1s, k2s, poss, reach, around = ([] for _ in range(7))
             for k1, k2, text, marks in zip(df["k1"], df["k2"], df["text"], df["marks"], strict=True):
                 raw = _raw(text)
                 for m in marks:
                     pos = m["pos"]
                     start = max(0, pos - (LENGTH - GRAM))
-                    around = raw[start : pos + LENGTH]
-                    cx = int.from_bytes(hashlib.blake2b(around, digest_size=8, salt=(pos - start).to_bytes(2, "little")).digest(), "little", signed=True)
-                    rows.append((m["h"], cx, m["hot"], k1, k2, pos, pos - start, around))
-            yield pd.DataFrame(rows, columns=["h", "cx", "hot", "k1", "k2", "pos", "reach", "around"])
+                    h.append(m["h"])
+                    hot.append(m["hot"])
+                    poss.append(pos)
+                    reach.append(pos - start)
+                    around.append(raw[start : pos + LENGTH])
+                k1s += [k1] * len(marks)
+                k2s += [k2] * len(marks)
+            yield pd.DataFrame({"h": h, "hot": hot, "k1": k1s, "k2": k2s, "pos": poss, "reach": reach, "around": around})
 
     return marked.mapInPandas(run, CONTEXT)
 
@@ -185,7 +199,7 @@ class Suffixes:
 
 
 def repeated_starts(group: np.ndarray, around: list[bytes], reach: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> np.ndarray:
-    """For each context (rows of a group stand together, all different) a row of booleans: whether the run that starts j bytes before the anchor occurs in another context of the group."""
+    """For each context (rows of a group stand together) a row of booleans: whether the run that starts j bytes before the anchor occurs in another context of the group."""
     span = length - gram + 1
     n = len(around)
     marks = np.zeros((n, span), dtype=bool)
@@ -220,7 +234,6 @@ def repeated_starts(group: np.ndarray, around: list[bytes], reach: np.ndarray, l
             continue
         x, y = who[by[1:][eq]], who[by[:-1][eq]]
         marks[x, j] = marks[y, j] = True
-    # byte-by-byte verification of what the hashes called equal, where runs of marks begin and end
     return marks
 
 
@@ -258,25 +271,9 @@ SPANS = "k1 long, k2 long, start int, stop int"
 
 def spans_of(df: pd.DataFrame) -> pd.DataFrame:
     """Repeated spans found in whole groups of contexts (sorted by h)."""
-    span = LENGTH - GRAM + 1
-    group = df["h"].to_numpy()
-    around, reach, pos = df["around"].tolist(), df["reach"].to_numpy().astype(np.int64), df["pos"].to_numpy().astype(np.int64)
-    first: dict[tuple, int] = {}
-    twin = np.empty(len(df), dtype=np.int64)  # the first row with the same context
-    for i, key in enumerate(zip(group.tolist(), reach.tolist(), around, strict=True)):
-        twin[i] = first.setdefault(key, i)
-    multi = np.bincount(twin, minlength=len(df))[twin] > 1
-    reps = np.flatnonzero(twin == np.arange(len(df)))
-    g = group[reps]
-    crowd = np.concatenate(([False], g[1:] == g[:-1])) | np.concatenate((g[1:] == g[:-1], [False]))
-    reps = reps[crowd]
-    marks = np.zeros((len(df), span), dtype=bool)
-    if len(reps):
-        sub = [around[i] for i in reps]
-        marks[reps] = verify(repeated_starts(group[reps], sub, reach[reps]), group[reps], sub, reach[reps])
-    size = np.array([len(x) for x in around], dtype=np.int64)
-    j = np.arange(span)
-    marks |= multi[:, None] & (j <= reach[:, None]) & (size[:, None] - reach[:, None] >= LENGTH - j)
+    group, around = df["h"].to_numpy(), df["around"].tolist()
+    reach, pos = df["reach"].to_numpy().astype(np.int64), df["pos"].to_numpy().astype(np.int64)
+    marks = verify(repeated_starts(group, around, reach), group, around, reach)
     edge = np.diff(np.pad(marks.astype(np.int8), ((0, 0), (1, 1))), axis=1)
     row, low = np.nonzero(edge == 1)
     _, high = np.nonzero(edge == -1)
@@ -318,16 +315,9 @@ def count_windows(found: DataFrame) -> DataFrame:
                     rows.append((int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True), k1, k2, pos - reach + a))
             yield pd.DataFrame(rows, columns=["w1", "w2", "k1", "k2", "start"])
 
-    # a context seen twice repeats as a whole
-    times = hot.groupBy("h", "cx").agg(F.count("*").alias("n"))
-    rated = hot.join(times, ["h", "cx"])
-    whole = rated.where("n > 1").where(F.octet_length("around") >= LENGTH).select("k1", "k2", (F.col("pos") - F.col("reach")).alias("start"), (F.col("pos") - F.col("reach") + F.octet_length("around")).cast("int").alias("stop"))
-    # single contexts, and one of each repeated one for them to meet
-    one = rated.where("n = 1").unionByName(rated.where("n > 1").dropDuplicates(["h", "cx"]))
-    windows = one.mapInPandas(run, "w1 long, w2 long, k1 long, k2 long, start int")
-    again = windows.groupBy("w1", "w2").agg(F.count_distinct("k1", "k2", "start").alias("n")).where("n > 1").select("w1", "w2")
-    part = windows.join(again, ["w1", "w2"]).select("k1", "k2", "start", (F.col("start") + LENGTH).alias("stop"))
-    return whole.unionByName(part)
+    windows = hot.mapInPandas(run, "w1 long, w2 long, k1 long, k2 long, start int")
+    again = windows.groupBy("w1", "w2").agg(F.min(F.struct("k1", "k2", "start")).alias("a"), F.max(F.struct("k1", "k2", "start")).alias("b")).where("a <> b").select("w1", "w2")
+    return windows.join(again, ["w1", "w2"]).select("k1", "k2", "start", (F.col("start") + LENGTH).alias("stop"))
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
@@ -340,18 +330,27 @@ def repeated_spans(docs: DataFrame, path: str) -> DataFrame:
     spark = docs.sparkSession
     keyed = _keyed(docs.select("doc_id", "text"))
     found = keep(find_anchors(keyed), f"{path}/anchors")
-    often = found.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h", (F.col("n") > HOT).alias("hot"))
-    marks = keep(found.join(often, "h").groupBy("k1", "k2").agg(F.collect_set(F.struct("pos", "h", "hot")).alias("marks")), f"{path}/marks")
+    often = found.groupBy("h").agg(F.count("*").alias("n"), (F.min("cx") != F.max("cx")).alias("mixed")).where("n > 1").select("h", "mixed", (F.col("n") > HOT).alias("hot"))
+    shared = keep(found.join(often, "h"), f"{path}/shared")
     drop(spark, f"{path}/anchors")
     release(spark)
+    # a context that occurs twice repeats as a whole, and only its first place is compared further
+    place = F.struct("k1", "k2", "pos")
+    times = shared.where("mixed").groupBy("h", "cx").agg(F.count("*").alias("times"), F.min(place).alias("first"))
+    rated = keep(shared.where("mixed").join(times, ["h", "cx"]).withColumn("sent", place == F.col("first")).drop("first"), f"{path}/rated")
+    whole = shared.where("not mixed").select("k1", "k2", "pos", "reach", "ahead").unionByName(rated.where("times > 1").select("k1", "k2", "pos", "reach", "ahead"))
+    whole = whole.select("k1", "k2", (F.col("pos") - F.col("reach")).cast("int").alias("start"), (F.col("pos") + F.col("ahead")).cast("int").alias("stop")).where(F.col("stop") - F.col("start") >= LENGTH)
+    marks = keep(rated.where("sent").groupBy("k1", "k2").agg(F.collect_set(F.struct("pos", "h", "hot")).alias("marks")), f"{path}/marks")
+    release(spark)
     around = contexts(keyed.where(f"octet_length(text) >= {LENGTH}").join(marks, ["k1", "k2"]))
-    around = keep(around, f"{path}/around")
+    parts = [compare_groups(around)]
+    if rated.where("sent and hot").limit(1).count():
+        parts.append(count_windows(around))
+    compared = [keep(p, f"{path}/part{i}") for i, p in enumerate(parts)]
     release(spark)
-    spans = compare_groups(around)
-    if around.where("hot").limit(1).count():
-        spans = spans.unionByName(count_windows(around))
+    spans = reduce(DataFrame.unionByName, compared, whole)
     out = keep(spans.groupBy("k1", "k2").agg(F.collect_set(F.struct("start", "stop")).alias("spans")), f"{path}/spans")
-    drop(spark, f"{path}/around", f"{path}/marks")
+    drop(spark, *(f"{path}/{t}" for t in ("shared", "rated", "marks", "part0", "part1")))
     release(spark)
     return out
 
