@@ -210,16 +210,18 @@ def matches(docs: DataFrame, blocks: list[list[tuple[int, str]]], *, rate: float
 
 def clean(docs: DataFrame, blocks: list[list[tuple[int, str]]], *, rate: float = ERROR_RATE, min_chars: int = MIN_ITEM_CHARS, text_col: str = "text") -> DataFrame:
     """Documents that hold no item, all their columns; a narrow filter, no join."""
-    out = docs
-    for items in blocks:
-
+    def leaks_of(items):
         @F.pandas_udf("boolean")
-        def leaks(batches: Iterator[pd.Series], items=items) -> Iterator[pd.Series]:
+        def leaks(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
             index = _index(items, rate, min_chars)
             for texts in batches:
                 yield pd.Series([isinstance(t, str) and bool(index.find(t)) for t in texts], dtype=bool)
 
-        out = out.where(~leaks(F.col(text_col)))
+        return leaks
+
+    out = docs
+    for items in blocks:
+        out = out.where(~leaks_of(items)(F.col(text_col)))
     return out
 
 
