@@ -27,8 +27,8 @@ from llm.textkit import text_batches
 CAPACITY = 4096
 UNIT = 4
 END_ID = 1
-#: Words whose ids one Python worker remembers; beyond that it forgets all and starts anew.
-CACHE_WORDS = 400_000
+#: Words, and strings between spaces, whose ids one Python worker remembers; beyond that it forgets all and starts anew.
+CACHE_WORDS = 600_000
 
 
 def default_tokenizer_file() -> str:
@@ -46,8 +46,9 @@ _other = re.compile("[\x00-\x08\x0e-\x1f\x7f-\xa0\xad\xb2\xb3\xb9\xbc-\xbeİɐ-\
 class WordTokenizer:
     """Ids of whole texts as little-endian uint32 bytes, equal to the library's for every text.
 
-    The vocabulary splits text into words before it merges, so a word's ids do not depend on its
-    neighbours and can be remembered. Texts beyond Latin letters, with control characters or
+    The vocabulary splits text into words before it merges, and never across white space, so the
+    ids of a word, and of all that stands between two spaces, do not depend on the neighbours and
+    can be remembered. Texts beyond Latin letters, with control characters or
     with marks of special tokens go through the library whole.
     """
 
@@ -59,6 +60,7 @@ class WordTokenizer:
 
         self.library = Tokenizer.from_file(path)
         self.known: dict[str, bytes] = {}
+        self.strings: dict[str, bytes] = {}
         vocab = self.library.get_vocab()
         self.ends_word = np.zeros(max(vocab.values()) + 1, dtype=bool)
         self.ends_word[[i for token, i in vocab.items() if token.endswith("</w>")]] = True
@@ -68,12 +70,16 @@ class WordTokenizer:
         return np.array(ids, dtype="<u4").tobytes()
 
     def encode(self, texts) -> list[bytes]:
-        if len(self.known) > CACHE_WORDS:
-            self.known.clear()
-        known = self.known
-        words = [None if _other.search(t) else _word.findall(t.lower()) for t in texts]
-        self._learn([w for w in set().union(*(w for w in words if w)) if w not in known])
-        return [self._pack(self.library.encode(t, add_special_tokens=False).ids) if w is None else b"".join(map(known.__getitem__, w)) for t, w in zip(texts, words, strict=True)]
+        known, strings = self.known, self.strings
+        for cache in (known, strings):
+            if len(cache) > CACHE_WORDS:
+                cache.clear()
+        parts = [None if _other.search(t) else t.lower().split() for t in texts]
+        new = {x: _word.findall(x) for x in set().union(*(p for p in parts if p)) if x not in strings}
+        self._learn([w for w in set().union(*new.values()) if w not in known])
+        for x, words in new.items():
+            strings[x] = known[words[0]] if len(words) == 1 else b"".join([known[w] for w in words])
+        return [self._pack(self.library.encode(t, add_special_tokens=False).ids) if p is None else b"".join(map(strings.__getitem__, p)) for t, p in zip(texts, parts, strict=True)]
 
     def _learn(self, words: list[str], chunk: int = 500) -> None:
         """Ids of new words, many to a call: in a line of words, an id that ends a word says where to cut."""
