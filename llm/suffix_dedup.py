@@ -218,52 +218,49 @@ def repeated_starts(group: np.ndarray, around: list[bytes], reach: np.ndarray, l
         shared[k] = s.common(order[k - 1], order[k])
     best = np.maximum(shared[:-1], shared[1:])
     ahead = sizes - reach
+    xs, ys, js = [], [], []
     for j in range(span):
         need = length - j
-        run = np.cumsum(shared[:-1] < need)
         rows = np.flatnonzero(best >= need)
         who = order[rows]
         ok = (reach[who] >= j) & (ahead[who] >= need)
         rows, who = rows[ok], who[ok]
         if len(who) < 2:
             continue
+        run = np.cumsum(shared[:-1] < need)
         key = mix64(run[rows].astype(U64)) ^ mix64(s.hash.raw(anchor[who] - j, anchor[who]) + U64(1))
-        by = np.argsort(key, kind="stable")
-        eq = key[by][1:] == key[by][:-1]
-        if not eq.any():
-            continue
-        x, y = who[by[1:][eq]], who[by[:-1][eq]]
-        marks[x, j] = marks[y, j] = True
+        by = np.argsort(key)
+        eq = np.flatnonzero(key[by[1:]] == key[by[:-1]])
+        if len(eq):
+            xs.append(who[by[eq + 1]])
+            ys.append(who[by[eq]])
+            js.append(np.full(len(eq), j))
+    if not xs:
+        return marks
+    x, y, j = np.concatenate(xs), np.concatenate(ys), np.concatenate(js)
+    # what the hashes call equal is compared byte by byte, once for each pair
+    pair, of = np.unique(x * n + y, return_inverse=True)
+    left, right = common_bytes(buf, base, anchor, end, pair // n, pair % n, span - 1, length)
+    true = (left[of] >= j) & (right[of] >= length - j)
+    marks[x[true], j[true]] = marks[y[true], j[true]] = True
+    for row, at in {(int(r), int(k)) for r, k in [*zip(x[~true], j[~true], strict=True), *zip(y[~true], j[~true], strict=True)]}:
+        a = int(reach[row]) - at  # a collision: against all of the group
+        mine = around[row][a : a + length]
+        marks[row, at] = any(r != row and reach[r] >= at and around[r][int(reach[r]) - at :][:length] == mine for r in np.flatnonzero(group == group[row]).tolist())
     return marks
 
 
-def verify(marks: np.ndarray, group: np.ndarray, around: list[bytes], reach: np.ndarray, length: int = LENGTH) -> np.ndarray:
-    """Marks that also hold byte by byte. Of each run of marked starts the two ends are checked against the other contexts' strings; if one fails, every start of the row is."""
-    edge = np.diff(np.pad(marks.astype(np.int8), ((0, 0), (1, 1))), axis=1)
-    first, last = np.nonzero(edge == 1), np.nonzero(edge == -1)
-    seen: dict[tuple, int] = {}
-    probes = []
-    for row, j in [*zip(first[0].tolist(), first[1].tolist(), strict=True), *zip(last[0].tolist(), (last[1] - 1).tolist(), strict=True)]:
-        a = int(reach[row]) - j
-        probes.append((row, j, (int(group[row]), j, around[row][a : a + length])))
-    wanted = {(g, j) for _, _, (g, j, _) in probes}
-    by_group: dict[int, list[int]] = {}
-    for g, j in wanted:
-        by_group.setdefault(g, []).append(j)
-    for row, g in enumerate(group.tolist()):
-        for j in by_group.get(g, ()):
-            a = int(reach[row]) - j
-            if a >= 0 and a + length <= len(around[row]):
-                key = (g, j, around[row][a : a + length])
-                seen[key] = seen.get(key, 0) + 1
-    wrong = {row for row, _, key in probes if seen[key] < 2}
-    for row in wrong:
-        mates = [r for r in np.flatnonzero(group == group[row]).tolist() if r != row]
-        for j in np.flatnonzero(marks[row]).tolist():
-            a = int(reach[row]) - j
-            mine = around[row][a : a + length]
-            marks[row, j] = any(int(reach[r]) >= j and around[r][int(reach[r]) - j : int(reach[r]) - j + length] == mine for r in mates)
-    return marks
+def common_bytes(buf, base, anchor, end, x, y, before: int, after: int, rows: int = 4096) -> tuple[np.ndarray, np.ndarray]:
+    """Equal bytes of contexts x and y before their anchors (up to `before`) and from there on (up to `after`)."""
+    left, right = np.empty(len(x), dtype=np.int64), np.empty(len(x), dtype=np.int64)
+    back, on = -1 - np.arange(before), np.arange(after)
+    for a in range(0, len(x), rows):
+        p, q = x[a : a + rows], y[a : a + rows]
+        for out, step, room in ((left, back, np.minimum(anchor[p] - base[p], anchor[q] - base[q])), (right, on, np.minimum(end[p] - anchor[p], end[q] - anchor[q]))):
+            i, j = (np.clip(anchor[r][:, None] + step, 0, len(buf) - 1) for r in (p, q))
+            differ = (buf[i] != buf[j]) | (np.arange(len(step)) >= room[:, None])
+            out[a : a + rows] = np.where(differ.any(axis=1), differ.argmax(axis=1), len(step))
+    return left, right
 
 
 SPANS = "k1 long, k2 long, start int, stop int"
@@ -273,7 +270,7 @@ def spans_of(df: pd.DataFrame) -> pd.DataFrame:
     """Repeated spans found in whole groups of contexts (sorted by h)."""
     group, around = df["h"].to_numpy(), df["around"].tolist()
     reach, pos = df["reach"].to_numpy().astype(np.int64), df["pos"].to_numpy().astype(np.int64)
-    marks = verify(repeated_starts(group, around, reach), group, around, reach)
+    marks = repeated_starts(group, around, reach)
     edge = np.diff(np.pad(marks.astype(np.int8), ((0, 0), (1, 1))), axis=1)
     row, low = np.nonzero(edge == 1)
     _, high = np.nonzero(edge == -1)
@@ -307,13 +304,19 @@ def count_windows(found: DataFrame) -> DataFrame:
     hot = found.where("hot")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for df in batches:
-            rows = []
-            for k1, k2, pos, reach, around in zip(df["k1"], df["k2"], df["pos"], df["reach"], df["around"], strict=True):
-                for a in range(len(around) - LENGTH + 1):
-                    d = hashlib.blake2b(around[a : a + LENGTH], digest_size=16).digest()
-                    rows.append((int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True), k1, k2, pos - reach + a))
-            yield pd.DataFrame(rows, columns=["w1", "w2", "k1", "k2", "start"])
+        for whole in batches:
+            for a in range(0, len(whole), 256):  # each row makes up to LENGTH - GRAM + 1
+                df = whole.iloc[a : a + 256]
+                sizes = df["around"].map(len).to_numpy()
+                many = np.maximum(0, sizes - LENGTH + 1)
+                base = np.repeat(np.cumsum(sizes) - sizes, many)
+                row = np.repeat(np.arange(len(df)), many)
+                off = np.arange(len(row)) - np.repeat(np.cumsum(many) - many, many)
+                buf = np.frombuffer(b"".join(df["around"]), dtype=np.uint8)
+                w1 = PrefixHash(buf).raw(base + off, base + off + LENGTH)
+                w2 = PrefixHash(buf[::-1]).raw(len(buf) - base - off - LENGTH, len(buf) - base - off)
+                first = (df["pos"] - df["reach"]).to_numpy()
+                yield pd.DataFrame({"w1": mix64(w1).view(np.int64), "w2": mix64(w2).view(np.int64), "k1": df["k1"].to_numpy()[row], "k2": df["k2"].to_numpy()[row], "start": (first[row] + off).astype(np.int32)})
 
     windows = hot.mapInPandas(run, "w1 long, w2 long, k1 long, k2 long, start int")
     again = windows.groupBy("w1", "w2").agg(F.min(F.struct("k1", "k2", "start")).alias("a"), F.max(F.struct("k1", "k2", "start")).alias("b")).where("a <> b").select("w1", "w2")
@@ -330,7 +333,7 @@ def repeated_spans(docs: DataFrame, path: str) -> DataFrame:
     spark = docs.sparkSession
     keyed = _keyed(docs.select("doc_id", "text"))
     found = keep(find_anchors(keyed), f"{path}/anchors")
-    often = found.groupBy("h").agg(F.count("*").alias("n"), (F.min("cx") != F.max("cx")).alias("mixed")).where("n > 1").select("h", "mixed", (F.col("n") > HOT).alias("hot"))
+    often = found.groupBy("h").agg(F.count("*").alias("n"), (F.min("cx") != F.max("cx")).alias("mixed")).where("n > 1").select("h", "mixed")
     shared = keep(found.join(often, "h"), f"{path}/shared")
     drop(spark, f"{path}/anchors")
     release(spark)
@@ -340,11 +343,13 @@ def repeated_spans(docs: DataFrame, path: str) -> DataFrame:
     rated = keep(shared.where("mixed").join(times, ["h", "cx"]).withColumn("sent", place == F.col("first")).drop("first"), f"{path}/rated")
     whole = shared.where("not mixed").select("k1", "k2", "pos", "reach", "ahead").unionByName(rated.where("times > 1").select("k1", "k2", "pos", "reach", "ahead"))
     whole = whole.select("k1", "k2", (F.col("pos") - F.col("reach")).cast("int").alias("start"), (F.col("pos") + F.col("ahead")).cast("int").alias("stop")).where(F.col("stop") - F.col("start") >= LENGTH)
-    marks = keep(rated.where("sent").groupBy("k1", "k2").agg(F.collect_set(F.struct("pos", "h", "hot")).alias("marks")), f"{path}/marks")
+    crowds = rated.where("sent").groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") > HOT).select("h", F.lit(True).alias("hot"))
+    sent = rated.where("sent").join(crowds, "h", "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
+    marks = keep(sent.groupBy("k1", "k2").agg(F.collect_set(F.struct("pos", "h", "hot")).alias("marks")), f"{path}/marks")
     release(spark)
     around = contexts(keyed.where(f"octet_length(text) >= {LENGTH}").join(marks, ["k1", "k2"]))
     parts = [compare_groups(around)]
-    if rated.where("sent and hot").limit(1).count():
+    if crowds.limit(1).count():
         parts.append(count_windows(around))
     compared = [keep(p, f"{path}/part{i}") for i, p in enumerate(parts)]
     release(spark)
