@@ -31,7 +31,7 @@ from llm.textkit import U64, PrefixHash, mix64
 LENGTH = 200
 GRAM = 64
 #: Places of one anchor that a single task compares; an anchor with more is counted window by window.
-HOT = 20_000
+HOT = 50_000
 #: Bytes of text in one numpy pass.
 BATCH_BYTES = 1 << 20
 
@@ -219,6 +219,21 @@ def repeated_starts(group: np.ndarray, around: list[bytes], reach: np.ndarray, l
     best = np.maximum(shared[:-1], shared[1:])
     ahead = sizes - reach
     xs, ys, js = [], [], []
+
+    def settle():
+        """Compare byte by byte what the hashes call equal, once for each pair, and mark what is."""
+        x, y, j = np.concatenate(xs), np.concatenate(ys), np.concatenate(js)
+        for held in (xs, ys, js):
+            held.clear()
+        pair, of = np.unique(x * n + y, return_inverse=True)
+        left, right = common_bytes(buf, base, anchor, end, pair // n, pair % n, span - 1, length)
+        true = (left[of] >= j) & (right[of] >= length - j)
+        marks[x[true], j[true]] = marks[y[true], j[true]] = True
+        for row, at in {(int(r), int(k)) for r, k in [*zip(x[~true], j[~true], strict=True), *zip(y[~true], j[~true], strict=True)]}:
+            a = int(reach[row]) - at  # a collision: against all of the group
+            mine = around[row][a : a + length]
+            marks[row, at] = any(r != row and reach[r] >= at and around[r][int(reach[r]) - at :][:length] == mine for r in np.flatnonzero(group == group[row]).tolist())
+
     for j in range(span):
         need = length - j
         rows = np.flatnonzero(best >= need)
@@ -234,23 +249,15 @@ def repeated_starts(group: np.ndarray, around: list[bytes], reach: np.ndarray, l
         if len(eq):
             xs.append(who[by[eq + 1]])
             ys.append(who[by[eq]])
-            js.append(np.full(len(eq), j))
-    if not xs:
-        return marks
-    x, y, j = np.concatenate(xs), np.concatenate(ys), np.concatenate(js)
-    # what the hashes call equal is compared byte by byte, once for each pair
-    pair, of = np.unique(x * n + y, return_inverse=True)
-    left, right = common_bytes(buf, base, anchor, end, pair // n, pair % n, span - 1, length)
-    true = (left[of] >= j) & (right[of] >= length - j)
-    marks[x[true], j[true]] = marks[y[true], j[true]] = True
-    for row, at in {(int(r), int(k)) for r, k in [*zip(x[~true], j[~true], strict=True), *zip(y[~true], j[~true], strict=True)]}:
-        a = int(reach[row]) - at  # a collision: against all of the group
-        mine = around[row][a : a + length]
-        marks[row, at] = any(r != row and reach[r] >= at and around[r][int(reach[r]) - at :][:length] == mine for r in np.flatnonzero(group == group[row]).tolist())
+            js.append(np.full(len(eq), j, dtype=np.int64))
+        if sum(map(len, xs)) > 200_000:
+            settle()
+    if xs:
+        settle()
     return marks
 
 
-def common_bytes(buf, base, anchor, end, x, y, before: int, after: int, rows: int = 4096) -> tuple[np.ndarray, np.ndarray]:
+def common_bytes(buf, base, anchor, end, x, y, before: int, after: int, rows: int = 1024) -> tuple[np.ndarray, np.ndarray]:
     """Equal bytes of contexts x and y before their anchors (up to `before`) and from there on (up to `after`)."""
     left, right = np.empty(len(x), dtype=np.int64), np.empty(len(x), dtype=np.int64)
     back, on = -1 - np.arange(before), np.arange(after)
