@@ -10,6 +10,7 @@ The plan's size depends on the capacity alone, so it is safe to ship to every ex
 
 from __future__ import annotations
 
+import gc
 import re
 import zlib
 from bisect import bisect_left, insort
@@ -27,8 +28,8 @@ from llm.textkit import text_batches
 CAPACITY = 4096
 UNIT = 4
 END_ID = 1
-#: Words, and strings between spaces, whose ids one Python worker remembers; beyond that it forgets all and starts anew.
-CACHE_WORDS = 600_000
+#: Words whose ids one Python worker remembers; beyond that it forgets all and starts anew.
+CACHE_WORDS = 500_000
 
 
 def default_tokenizer_file() -> str:
@@ -43,12 +44,23 @@ _word = re.compile(r"[^\W\d_]+|'(?:s|t|re|ve|m|ll|d)|\d|(?:[^\s\w]|_)+")
 _other = re.compile("[\x00-\x08\x0e-\x1f\x7f-\xa0\xad\xb2\xb3\xb9\xbc-\xbeİɐ-\U0010ffff]|<\\|")
 
 
+class _Known(dict):
+    """Ids by word; a word that is asked for before it is known is noted in `new`, once, and answered with None."""
+
+    def __init__(self):
+        super().__init__()
+        self.new: list[str] = []
+
+    def __missing__(self, word):
+        self.new.append(word)
+        self[word] = None
+
+
 class WordTokenizer:
     """Ids of whole texts as little-endian uint32 bytes, equal to the library's for every text.
 
-    The vocabulary splits text into words before it merges, and never across white space, so the
-    ids of a word, and of all that stands between two spaces, do not depend on the neighbours and
-    can be remembered. Texts beyond Latin letters, with control characters or
+    The vocabulary splits text into words before it merges, so a word's ids do not depend on its
+    neighbours and can be remembered. Texts beyond Latin letters, with control characters or
     with marks of special tokens go through the library whole.
     """
 
@@ -59,8 +71,7 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {}
-        self.strings: dict[str, bytes] = {}
+        self.known = _Known()
         vocab = self.library.get_vocab()
         self.ends_word = np.zeros(max(vocab.values()) + 1, dtype=bool)
         self.ends_word[[i for token, i in vocab.items() if token.endswith("</w>")]] = True
@@ -70,16 +81,17 @@ class WordTokenizer:
         return np.array(ids, dtype="<u4").tobytes()
 
     def encode(self, texts) -> list[bytes]:
-        known, strings = self.known, self.strings
-        for cache in (known, strings):
-            if len(cache) > CACHE_WORDS:
-                cache.clear()
-        parts = [None if _other.search(t) else t.lower().split() for t in texts]
-        new = {x: _word.findall(x) for x in set().union(*(p for p in parts if p)) if x not in strings}
-        self._learn([w for w in set().union(*new.values()) if w not in known])
-        for x, words in new.items():
-            strings[x] = known[words[0]] if len(words) == 1 else b"".join([known[w] for w in words])
-        return [self._pack(self.library.encode(t, add_special_tokens=False).ids) if p is None else b"".join(map(strings.__getitem__, p)) for t, p in zip(texts, parts, strict=True)]
+        known = self.known
+        if len(known) > CACHE_WORDS:
+            known.clear()
+        words = [None if _other.search(t) else _word.findall(t.lower()) for t in texts]
+        # one look-up for each word: those met for the first time are noted, and filled in afterwards
+        found = [None if w is None else list(map(known.__getitem__, w)) for w in words]
+        if known.new:
+            self._learn(known.new)
+            known.new = []
+            found = [f if f is None or None not in f else [known[w] if v is None else v for v, w in zip(f, ws, strict=True)] for f, ws in zip(found, words, strict=True)]
+        return [self._pack(self.library.encode(t, add_special_tokens=False).ids) if f is None else b"".join(f) for t, f in zip(texts, found, strict=True)]
 
     def _learn(self, words: list[str], chunk: int = 500) -> None:
         """Ids of new words, many to a call: in a line of words, an id that ends a word says where to cut."""
@@ -113,6 +125,7 @@ def pieces(docs: DataFrame, *, tokenizer_file: str | None = None, capacity: int
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         tok = tokenizer(tokenizer_file or default_tokenizer_file())
+        gc.disable()  # strings and numbers make no cycles, and there are millions of them
         for df in batches:
             texts = [t if isinstance(t, str) else "" for t in df["text"]]
             n, which, start, length, crc = 0, [], [], [], []
