@@ -10,11 +10,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from llm import decontamination, language_id, near_duplicates, packing, suffix_dedup
-from llm.store import keep, table, workspace
+from llm.store import keep, small_batches, table, workspace
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a language that the classifier recognises; it is learned from the given lang column."""
+    small_batches(spark)
     known = language_id.fit(docs, condition=f"not ({language_id.HELD_OUT})")
     return language_id.filter_stage(docs, known)
 
@@ -31,6 +32,7 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no benchmark item is found."""
+    small_batches(spark)
     return decontamination.clean(docs, decontamination.item_blocks(table(spark, sf_dir, "benchmark")))
 
 

@@ -9,12 +9,23 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
+#: Rows that one Arrow batch hands to Python: texts may be long, and several workers share an executor's memory.
+BATCH_ROWS = 1000
+
+
+def small_batches(spark: SparkSession) -> None:
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def workspace(spark: SparkSession, name: str) -> str:
     """A fresh folder under spark.checkpoint.dir; only where that is unset, as in tests, a local temporary one."""
+    small_batches(spark)
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         root = "file://" + tempfile.mkdtemp(prefix="patcard-")
