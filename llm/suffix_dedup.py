@@ -135,9 +135,9 @@ def contexts(marked: DataFrame) -> DataFrame:
 class Suffixes:
     """Suffixes of a buffer, each from start to end, compared by prefix hashes."""
 
-    def __init__(self, buf: np.ndarray, start: np.ndarray, end: np.ndarray):
+    def __init__(self, buf: np.ndarray, rows: np.ndarray, start: np.ndarray, end: np.ndarray):
         self.buf, self.start, self.end = buf, start, end
-        self.hash = PrefixHash(buf)
+        self.hash = PrefixHash(buf, rows)
 
     def common(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
         """Length of the common beginning of suffixes i and j, by binary search on hashes."""
@@ -209,7 +209,7 @@ def repeated_starts(group: np.ndarray, around: list[bytes], reach: np.ndarray, l
     base = np.cumsum(sizes) - sizes
     buf = np.frombuffer(b"".join(around), dtype=np.uint8)
     anchor, end = base + reach, base + sizes
-    s = Suffixes(buf, anchor, end)
+    s = Suffixes(buf, base, anchor, end)
     order = s.order(group)
     same = group[order[1:]] == group[order[:-1]]
     shared = np.zeros(n + 1, dtype=np.int64)  # with the one before, in order
@@ -284,7 +284,7 @@ def spans_of(df: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"k1": df["k1"].to_numpy()[row], "k2": df["k2"].to_numpy()[row], "start": (pos[row] - high + 1).astype(np.int32), "stop": (pos[row] - low + LENGTH).astype(np.int32)})
 
 
-def compare_groups(found: DataFrame, rows: int = 8000) -> DataFrame:
+def compare_groups(found: DataFrame, rows: int = 4000) -> DataFrame:
     """Spans of all anchors that are not hot: contexts are dealt and sorted by anchor, whole groups are compared together, at least `rows` contexts at a time."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

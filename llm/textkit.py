@@ -6,8 +6,6 @@ batch or per text and never once per word.
 
 from __future__ import annotations
 
-import functools
-
 import numpy as np
 
 U64 = np.uint64
@@ -35,36 +33,50 @@ def mix64(x: np.ndarray) -> np.ndarray:
 BYTE_VALUE = mix64(np.arange(1, 257, dtype=U64) * U64(0xD1342543DE82EF95))
 
 
-@functools.cache
-def _powers(log2: int, inverse: bool) -> np.ndarray:
-    n, base = 1 << log2, BASE_INV if inverse else BASE
-    out = np.empty(n, dtype=U64)
-    out[0] = 1
-    done = 1
-    while done < n:  # doubling: powers of [0, 2k) from those of [0, k)
-        step = U64(pow(base, done, 1 << 64))
-        out[done : 2 * done] = out[:done] * step
-        done *= 2
-    return out
+_held: dict[bool, np.ndarray] = {}
 
 
 def powers(n: int, inverse: bool = False) -> np.ndarray:
-    """The first n powers of the base, or of its inverse."""
-    return _powers(max(12, int(n - 1).bit_length()), inverse)[:n]
+    """The first n powers of the base, or of its inverse. The longest array so far is kept, and only that."""
+    have = _held.get(inverse)
+    if have is None or len(have) < n:
+        size, base = 1 << max(12, int(n - 1).bit_length()), BASE_INV if inverse else BASE
+        have = np.empty(size, dtype=U64)
+        have[0] = 1
+        done = 1
+        while done < size:  # doubling: powers of [0, 2k) from those of [0, k)
+            have[done : 2 * done] = have[:done] * U64(pow(base, done, 1 << 64))
+            done *= 2
+        _held[inverse] = have
+    return have[:n]
 
 
 class PrefixHash:
-    """Hashes of any slice of a byte buffer in constant time after one pass."""
+    """Hashes of any slice of a byte buffer in constant time after one pass.
+
+    rows: where the slices' rows begin; slices then stay within a row, exponents start anew with
+    each, and long buffers of short rows need few powers.
+    """
 
-    def __init__(self, buf: np.ndarray):
+    def __init__(self, buf: np.ndarray, rows: np.ndarray | None = None):
         n = len(buf)
+        self.at = None
+        if rows is not None:
+            self.at = np.arange(n + 1, dtype=np.int32)
+            self.at -= np.repeat(rows, np.diff(np.append(rows, n + 1))).astype(np.int32)
         self.sums = np.zeros(n + 1, dtype=U64)
-        np.cumsum(BYTE_VALUE[buf] * powers(n), out=self.sums[1:]) if n else None
-        self.inv = powers(n + 1, inverse=True)
+        step = 1 << 18
+        for a in range(0, n, step):
+            b = min(n, a + step)
+            part = BYTE_VALUE[buf[a:b]]
+            part *= powers(n)[a:b] if self.at is None else powers(int(self.at[a:b].max()) + 1)[self.at[a:b]]
+            part[0] += self.sums[a]
+            np.cumsum(part, out=self.sums[a + 1 : b + 1])
+        self.inv = powers(n + 1 if self.at is None else int(self.at.max(initial=0)) + 1, inverse=True)
 
     def raw(self, start, end) -> np.ndarray:
         """Linear hash of buf[start:end], independent of where the slice stands."""
-        return (self.sums[end] - self.sums[start]) * self.inv[start]
+        return (self.sums[end] - self.sums[start]) * self.inv[start if self.at is None else self.at[start]]
 
 
 def join_texts(texts) -> tuple[np.ndarray, np.ndarray]:
