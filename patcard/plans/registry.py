@@ -1,13 +1,218 @@
-"""Every graph query with its SQL oracle."""
+"""Every graph query by name, and the SQL of those that SQL can express."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from patcard.baselines import sampling as S
+from patcard.baselines import summaries as M
+from patcard.functions import metrics
+from patcard.functions.theory import agm_bound, guarantee_check, sample_space, theoretical_calls, variance_bound
+from patcard.index import hard_patterns as I
+from patcard.operators.relational import operators
+from patcard.operators.walk import Walker, auto_ratio, choose_order, embeddings, exact_count, finish, progressive, vertex_walk
+from patcard.plans import oracle, planner, workloads
+from patcard.plans.query import parse_pattern
+from patcard.sources.graphs import GRAPHS, PATTERNS, TOY_QUERY, toy
+from patcard.streaming import events
+
+#: Orders of the registered walks, so that their SQL can be written without looking at data.
+ORDERS = {
+    "P1": ("n", "c", "o", "p"), "P2": ("n", "s", "c", "o"), "P3": ("c", "o", "s", "p1", "p2"), "P4t": ("m", "s", "o", "c", "n", "p"), "P5": ("s", "o", "p"), "P6": ("n", "s", "c", "o"), "P7": ("n", "s", "c", "o", "p"),
+    "P9": ("a", "b", "c"), "P10": ("a", "b", "c"), "P12": ("a", "b", "c", "d"), "P13": ("a", "b", "c"), "P14": ("a", "b", "c"), "P15": ("a", "b", "c", "d", "e"), "P16": ("k", "u"), "P18": ("s", "d"),
+}
+CALLS = {"P15": 40, "P16": 20, "P18": 10, "P10": 30}
+
+
+def _g(spark, sf_dir, pid):
+    return GRAPHS[PATTERNS[pid][0]](spark, sf_dir), parse_pattern(PATTERNS[pid][1])
+
+
+def _est(df: DataFrame, *cols: str) -> DataFrame:
+    return df.select(*[F.round(c, 6).alias(c) if c in ("est", "bound") else F.col(c) for c in cols or df.columns])
 
 
 def flagship(spark, sf_dir):
-    raise NotImplementedError
+    """Hybrid walk on the part-order-supplier triangle, with the truth and the q-error beside the estimate."""
+    g, q = _g(spark, sf_dir, "P5")
+    g = g.persist()
+    ix = I.build_index(g, max_edges=1, zeta=0.9, calls=20, use_labels=workloads.KINDS, force=True)
+    est = vertex_walk(g, q, calls=100, trials=3, index=ix)
+    truth = exact_count(g, q).withColumnRenamed("cnt", "truth")
+    return est.crossJoin(F.broadcast(truth)).withColumn("q_error", metrics.q_error(F.col("est"), F.col("truth")))
+
+
+def queries() -> dict:
+    out: dict = {}
+    for name, load in GRAPHS.items():
+        out[f"edges_{name}"] = lambda s, d, load=load: load(s, d).edges
+        out[f"vertices_{name}"] = lambda s, d, load=load: load(s, d).labels
+    for pid in PATTERNS:
+        out[f"exact_{pid}"] = lambda s, d, pid=pid: exact_count(*_g(s, d, pid))
+        if PATTERNS[pid][0] != "G_vec":
+            out[f"stats_{pid}"] = lambda s, d, pid=pid: s.createDataFrame([(r["eid"], r["n"], r["na"], r["nb"]) for r in _g(s, d, pid)[0].stats(_g(s, d, pid)[1])], "eid int, n long, na long, nb long")
+        out[f"order_{pid}"] = lambda s, d, pid=pid: _order(s, d, pid)
+        out[f"agm_{pid}"] = lambda s, d, pid=pid: _agm(s, d, pid)
+    for pid, order in ORDERS.items():
+        out[f"vwalk_{pid}"] = lambda s, d, pid=pid, order=order: _est(vertex_walk(*_g(s, d, pid), calls=CALLS.get(pid, 4), trials=2, order=order))
+    walk = lambda pid, **o: lambda s, d: _est(vertex_walk(*_g(s, d, pid), order=ORDERS[pid], **o))
+    out["vwalk_nobranch_P6"] = walk("P6", calls=60, trials=2, k=None)
+    out["vwalk_plain_P6"] = walk("P6", calls=20, trials=2, k=8, adaptive=False)
+    out["vwalk_iso_P9"] = walk("P9", calls=4, trials=2, semantics="iso")
+    out["vwalk_skip_P7"] = walk("P7", calls=4, skip=True)
+    out["vwalk_replace_P6"] = walk("P6", calls=20, replace=True)
+    out["vwalk_budget_P6"] = walk("P6", calls=20, budget=100)
+    out["vwalk_b1_P5"] = walk("P5", calls=1, k=1, adaptive=False)
+    out["vwalk_domain_P6"] = lambda s, d: _domain_walk(s, d)
+    out["vwalk_disconnected"] = lambda s, d: _est(vertex_walk(GRAPHS["G_trade"](s, d), parse_pattern("(n)-[in_region]->(r), (c)-[cust_in]->(m)"), calls=10))
+    out["embeddings_P10"] = lambda s, d: embeddings(*_g(s, d, "P10"))
+    out["profile_P6"] = lambda s, d: Walker(*_g(s, d, "P6"), ORDERS["P6"]).profile(s, 1, 10)
+    out["progressive_P5"] = lambda s, d: progressive(Walker(*_g(s, d, "P5"), ORDERS["P5"]).weights(s, 1, 20), 4, 20)
+    out["autoratio_P6"] = lambda s, d: s.createDataFrame([auto_ratio(*_g(s, d, "P6"), target=0.3, start=20, cap=80)], "calls int, est double, half double")
+    out["subqueries_P7"] = lambda s, d: planner.estimate_subqueries(*_g(s, d, "P5"), exact=True)
+    out["joinorder_P7"] = lambda s, d: _join_order(s, d)
+    # baselines
+    out["htblind_toy"] = lambda s, d: S.ht_blind(toy(s, 1), parse_pattern(TOY_QUERY), calls=50)
+    out["htindep_P5"] = lambda s, d: S.ht_independent(*_g(s, d, "P5"), calls=200)
+    out["ewalk_P5"] = lambda s, d: _est(S.edge_walk(*_g(s, d, "P5"), calls=300, order=list(parse_pattern(PATTERNS["P5"][1]).edges)))
+    out["ewalk_early_P6"] = lambda s, d: _est(S.edge_walk(*_g(s, d, "P6"), calls=300, check="early", order=list(parse_pattern(PATTERNS["P6"][1]).edges)))
+    out["ewalk_tuned_P5"] = lambda s, d: S.tuned_edge_walk(*_g(s, d, "P5"), calls=50, pilot=10)
+    out["ewalk_domain_P6"] = lambda s, d: _edge_domains(s, d)
+    out["batchwalk_P5"] = lambda s, d: S.batched_edge_walk(*_g(s, d, "P5"), batch=100, trials=2)
+    out["treebound_P4t"] = lambda s, d: S.tree_bound(*_g(s, d, "P4t"))
+    out["treewalk_P5"] = lambda s, d: S.tree_bound_walk(*_g(s, d, "P5"), calls=50)
+    out["corrhash_P5"] = lambda s, d: _est(S.correlated_sampling(*_g(s, d, "P5"), p=0.5, trials=2))
+    out["graphlet_P5"] = lambda s, d: S.graphlet_walk(*_g(s, d, "P5"), calls=100)
+    out["charset_P3"] = lambda s, d: M.charset_estimate(M.charset_build(_g(s, d, "P3")[0]), *_g(s, d, "P3"))
+    out["summary_P6"] = lambda s, d: M.summary_estimate(M.summary_build(_g(s, d, "P6")[0], 8), _g(s, d, "P6")[1])
+    out["boundsketch_P5"] = lambda s, d: M.bound_sketch_estimate(M.bound_sketch(*_g(s, d, "P5"), 4), _g(s, d, "P5")[1])
+    out["catalogue_P5"] = lambda s, d: M.catalogue_estimate(*_g(s, d, "P5"))
+    out["cyclebranch_P6"] = lambda s, d: S.cycle_branch_walk(*_g(s, d, "P6"), calls=10)
+    out["indep_P5"] = lambda s, d: _est(M.independence_estimate(*_g(s, d, "P5")))
+    out["fpm_G_trade"] = lambda s, d: I.frequent_patterns(GRAPHS["G_trade"](s, d).persist(), 1, 10, workloads.KINDS)
+    # index
+    out["domain_tree_P4t"] = lambda s, d: _domain_rows(I.domains_tree(*_g(s, d, "P4t")))
+    out["domain_exact_P5"] = lambda s, d: _domain_rows(I.domains_exact(*_g(s, d, "P5")))
+    out["domain_superset_P6"] = lambda s, d: _domain_rows(I.domains_superset(*_g(s, d, "P6"), rounds=1)).groupBy("u").count()
+    out["index_level1"] = lambda s, d: I.build_index(GRAPHS["G_trade"](s, d).persist(), max_edges=1, use_labels=workloads.KINDS, force=True).table()
+    out["index_patterns"] = lambda s, d: workloads.small_index(GRAPHS["G_trade"](s, d).persist()).table()
+    out["hybrid_P6"] = lambda s, d: _hybrid(s, d)
+    out["refresh_G_act"] = lambda s, d: workloads.stale_activity(s, d, 1.0).edges.exceptAll(workloads.stale_activity(s, d, 0.9).edges).groupBy("elabel").count()
+    out["labelgroups_G_copart"] = lambda s, d: I.group_labels(GRAPHS["G_copart"](s, d), 8)
+    # theory
+    out["varbound"] = lambda s, d: s.createDataFrame([(variance_bound(1 / 32, 5, 20.0), theoretical_calls(1 / 32, 5, 0.5, 0.9))], "bound double, calls long")
+    out["coverage_toy"] = lambda s, d: guarantee_check(vertex_walk(toy(s, 2), parse_pattern(TOY_QUERY), calls=40, trials=10, k=2, adaptive=False), 3.0, 0.5)
+    out["samplespace_toy"] = lambda s, d: s.createDataFrame([(m, sample_space(toy(s, 1).stats(parse_pattern(TOY_QUERY)), 114, m)) for m in ("blind", "labelled")], "method string, space double")
+    out |= workloads.WORKLOADS
+    out |= {n: f for n, (f, _) in operators().items()}
+    out |= {n: f for n, (f, _) in events.queries().items()}
+    return out
+
+
+def _order(s, d, pid):
+    g, q = _g(s, d, pid)
+    return s.createDataFrame(list(enumerate(choose_order(q, g.stats(q)), 1)), "position int, u string")
+
+
+def _agm(s, d, pid):
+    g, q = _g(s, d, pid)
+    bound, cover = agm_bound(q, g.stats(q))
+    return s.createDataFrame([(float(bound), str(cover))], "bound double, cover string")
+
+
+def _domain_rows(domains) -> DataFrame:
+    out = None
+    for u, df in domains.items():
+        one = df.select(F.lit(u).alias("u"), "v")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _domain_walk(s, d):
+    g, q = _g(s, d, "P6")
+    dom = I.domains_tree(g, parse_pattern("(c)-[placed]->(o)-[shipped_by]->(s)"))
+    return _est(finish(Walker(g, q, ORDERS["P6"], domains={"s": dom["s"]}).weights(s, 2, 10)))
+
+
+def _hybrid(s, d):
+    g = GRAPHS["G_trade"](s, d).persist()
+    return vertex_walk(g, parse_pattern(PATTERNS["P6"][1]), calls=20, trials=2, index=workloads.small_index(g))
+
+
+def _edge_domains(s, d):
+    g = GRAPHS["G_trade"](s, d).persist()
+    return S.edge_walk(g, parse_pattern(PATTERNS["P6"][1]), calls=50, index=workloads.small_index(g))
+
+
+def _join_order(s, d):
+    g, q = _g(s, d, "P5")
+    sizes = {r["part"]: r["est"] for r in planner.estimate_subqueries(g, q, exact=True).collect()}
+    order, cost = planner.best_join_order(g, q, sizes)
+    return s.createDataFrame([(",".join(order), float(cost))], "order_ string, cost double")
+
+
+def oracle_sql() -> dict[str, str]:
+    out: dict[str, str] = {}
+    for name in GRAPHS:
+        out[f"edges_{name}"] = f"with {oracle.GRAPH_SQL[name]} select src, elabel, dst from e"
+        out[f"vertices_{name}"] = f"with {oracle.GRAPH_SQL[name]} select v, label from vl"
+    for pid in PATTERNS:
+        out[f"exact_{pid}"] = oracle.exact_sql(pid)
+        if PATTERNS[pid][0] != "G_vec":
+            out[f"stats_{pid}"] = oracle.stats_sql(pid)
+    for pid, order in ORDERS.items():
+        out[f"vwalk_{pid}"] = oracle.walk_sql(pid, order, calls=CALLS.get(pid, 4), trials=2)
+    out["vwalk_nobranch_P6"] = oracle.walk_sql("P6", ORDERS["P6"], calls=60, trials=2, k=None)
+    out["vwalk_plain_P6"] = oracle.walk_sql("P6", ORDERS["P6"], calls=20, trials=2, k=8, adaptive=False)
+    out["vwalk_iso_P9"] = oracle.walk_sql("P9", ORDERS["P9"], calls=4, trials=2, semantics="iso")
+    out["vwalk_b1_P5"] = oracle.walk_sql("P5", ORDERS["P5"], calls=1, trials=1, k=1, adaptive=False)
+    out["vwalk_domain_P6"] = oracle.walk_sql("P6", ORDERS["P6"], calls=10, trials=2, domains={"s": "dom_s"}, extra=", dom_s as (select distinct x.dst v from e x join e y on x.src = y.dst and y.elabel = 'placed' where x.elabel = 'shipped_by')")
+    out["embeddings_P10"] = oracle.embeddings_sql("P10")
+    out["domain_tree_P4t"] = _domain_sql("P4t")
+    out["domain_exact_P5"] = _domain_sql("P5")
+    out["treebound_P4t"] = oracle.exact_sql("P4t").replace("cast(count(*) as bigint) cnt", "cast(count(*) as double) bound")
+    out["ewalk_P5"] = oracle_edge_walk("P5", 300, "end")
+    out["ewalk_early_P6"] = oracle_edge_walk("P6", 300, "early")
+    out |= {n: sql for n, (_, sql) in operators().items() if sql}
+    out |= {n: sql for n, (_, sql) in events.queries().items() if sql}
+    return out
+
 
+def _domain_sql(pid: str) -> str:
+    name, text = PATTERNS[pid]
+    q = parse_pattern(text)
+    return f"with {oracle.GRAPH_SQL[name]}, m as materialized (select * from {oracle._joined(q)}) " + " union all ".join(f"select distinct '{u}' u, {u} v from m" for u in q.names)
 
-def queries():
-    return {}
 
+def oracle_edge_walk(pid: str, calls: int, check: str, seed: int = 0) -> str:
+    """An edge walk in windows: a number for each pair of the first relation, then the least hash among the neighbours."""
+    name, text = PATTERNS[pid]
+    q = parse_pattern(text)
+    first, *rest = q.edges
+    num = lambda *p: "('0x' || substr(md5(concat_ws('|', " + ", ".join(p) + ")), 1, 8))::bigint"
+    text_of = lambda c: f"cast({c} as varchar)"
+    ctes = [
+        f"b as (select a, b, {num("'a'", text_of('a'), text_of('b'))} % {S.BUCKETS} bk from {oracle.relation(q, first)})",
+        "pool as (select a, b, row_number() over (order by bk, a, b) - 1 idx, count(*) over () m from b)",
+        f"l0 as (select 0::bigint trial, c.range call from range({calls}) c)",
+        f"s1 as (select l0.trial, l0.call, pool.m::double f__, pool.a {first.u}, pool.b {first.w} from l0 join pool on pool.idx = {num(f"'{seed}'", text_of('trial'), text_of('call'), "'0'")} % pool.m)",
+    ]
+    placed, last, copies = [first.u, first.w], "s1", []
+    for i, e in enumerate(rest, 1):
+        closes = e.u in placed and e.w in placed
+        cols = ", ".join(["p.trial", "p.call", *[f"p.{v}" for v in placed], *[f"p.{c}" for _, c in copies]])
+        if closes and check == "early":
+            ctes.append(f"s{i + 1} as (select p.* from {last} p where exists (select 1 from {oracle.relation(q, e)} x where x.a = p.{e.u} and x.b = p.{e.w}))")
+        else:
+            near = e.u if e.u in placed else e.w
+            far = e.other(near)
+            cn, cf = ("a", "b") if near == e.u else ("b", "a")
+            target = f"copy{i}" if closes else far
+            key = ", ".join([f"'{seed}'", text_of("p.trial"), text_of("p.call"), f"'{i}'", text_of(f"p.{near}"), text_of(f"x.{cf}")])
+            ctes.append(f"s{i + 1} as (select * exclude (n__, r__, f__), f__ * n__ f__ from (select {cols}, p.f__, x.{cf} {target}, count(*) over (partition by p.trial, p.call) n__, row_number() over (partition by p.trial, p.call order by md5(concat_ws('|', {key})), x.{cf}) r__ from {last} p join {oracle.relation(q, e)} x on x.{cn} = p.{near}) where r__ = 1)")
+            (copies.append((far, target)) if closes else placed.append(far))
+        last = f"s{i + 1}"
+    ok = " and ".join(["true", *[f"{last}.{v} = {last}.{c}" for v, c in copies]])
+    return f"with {oracle.GRAPH_SQL[name]}, {', '.join(ctes)}, w as (select l0.trial, l0.call, coalesce(sum({last}.f__), 0) w from l0 left join {last} on l0.trial = {last}.trial and l0.call = {last}.call and {ok} group by all) select trial, round(avg(w), 6) est, count(*) n_calls, cast(count(*) filter (w = 0) as bigint) n_failed from w group by trial"
 
-def oracle_sql():
-    return {}
