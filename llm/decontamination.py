@@ -16,6 +16,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from llm.textkit import tidy
+
 #: Edits allowed for each character of a normalised item.
 ERROR_RATE = 0.08
 #: Items shorter than this, normalised, are too common to tell a leak from chance; they are left out.
@@ -194,6 +196,7 @@ def matches(docs: DataFrame, blocks: list[list[tuple[int, str]]], *, rate: float
     """
 
     def one(items):
+        @tidy
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             index = _index(items, rate, min_chars)
             for df in batches:

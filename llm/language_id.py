@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from llm.store import holdout
+from llm.textkit import tidy
 
 UNDETERMINED = "und"
 WINDOW = 1024
@@ -195,6 +196,7 @@ def identify(docs: DataFrame, net: ByteConvNet, *, text_col: str = "text") -> Da
     rest = docs.drop("lang_pred", "lang_score")
 
     @F.pandas_udf("lang string, score double")
+    @tidy
     def judge(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         for texts in batches:
             lang, score = predict(net, texts.tolist(), tables)

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from llm.store import drop, keep, release, table, workspace
-from llm.textkit import U64, mix64, shingle_hashes, text_batches
+from llm.textkit import U64, mix64, shingle_hashes, text_batches, tidy
 
 BUCKET_BITS = 7
 BUCKETS = 1 << BUCKET_BITS
@@ -96,6 +96,7 @@ PROFILE = "doc_id long, n_shingles long, fp binary, regs binary"
 def profiles(docs: DataFrame) -> DataFrame:
     """Set size, fingerprint and registers of each document; no fingerprint for an empty set."""
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for df in batches:
             texts = df["text"].tolist()
@@ -129,6 +130,7 @@ def _linked(a: np.ndarray, b: np.ndarray) -> bool:
 def confirm(pairs: DataFrame) -> DataFrame:
     """Pairs (a, b) with regs and texts of both sides that are links: estimated first, then confirmed on the full sets."""
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for df in batches:
             if not len(df):
@@ -205,6 +207,7 @@ def joining_links(members: DataFrame) -> DataFrame:
         sets = [s for part in text_batches(texts) for s in shingle_hashes(texts[part])]
         return search_block(df["id"].to_numpy(), comps, sets, side if side.max() else None)
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: list[pd.DataFrame] = []
         for df in batches:

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from llm.store import keep, workspace
-from llm.textkit import text_batches
+from llm.textkit import text_batches, tidy
 
 CAPACITY = 4096
 UNIT = 4
@@ -123,6 +123,7 @@ def pieces(docs: DataFrame, *, tokenizer_file: str | None = None, capacity: int
     """One row for each piece of each document: only documents of more than `capacity` ids are cut. Null text counts as empty; every document ends with end_id, so none is without a piece."""
     tail = np.array([end_id], dtype="<u4").tobytes()
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         tok = tokenizer(tokenizer_file or default_tokenizer_file())
         gc.disable()  # strings and numbers make no cycles, and there are millions of them

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from llm.store import drop, keep, release, table, workspace
-from llm.textkit import U64, PrefixHash, mix64
+from llm.textkit import U64, PrefixHash, mix64, tidy
 
 LENGTH = 200
 GRAM = 64
@@ -94,6 +94,7 @@ def _batches(raw: list[bytes]):
 def find_anchors(keyed: DataFrame) -> DataFrame:
     """(k1, k2, pos, reach, ahead, h, cx) for each anchor of each text."""
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for df in batches:
             raw, k1, k2 = [_raw(t) for t in df["text"]], df["k1"].to_numpy(), df["k2"].to_numpy()
@@ -112,6 +113,7 @@ CONTEXT = "h long, hot boolean, k1 long, k2 long, pos int, reach int, around bin
 def contexts(marked: DataFrame) -> DataFrame:
     """The bytes around each anchor in `marks`: up to LENGTH - GRAM before it (reach of them) and LENGTH from it on."""
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for df in batches:
             h, hot, k1s, k2s, poss, reach, around = ([] for _ in range(7))
@@ -287,6 +289,7 @@ def spans_of(df: pd.DataFrame) -> pd.DataFrame:
 def compare_groups(found: DataFrame, rows: int = 4000) -> DataFrame:
     """Spans of all anchors that are not hot: contexts are dealt and sorted by anchor, whole groups are compared together, at least `rows` contexts at a time."""
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: list[pd.DataFrame] = []
         count = 0
@@ -310,6 +313,7 @@ def count_windows(found: DataFrame) -> DataFrame:
     """Spans of hot anchors: every run around them is hashed to 128 bits and counted, with partial sums where it is made."""
     hot = found.where("hot")
 
+    @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for whole in batches:
             for a in range(0, len(whole), 256):  # each row makes up to LENGTH - GRAM + 1
@@ -396,6 +400,7 @@ def measure(docs: DataFrame) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for each row."""
 
     @F.pandas_udf("n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    @tidy
     def look(batches: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.DataFrame]:
         for texts, spans in batches:
             rows = []
@@ -412,6 +417,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     """All rows and columns of docs; from text every repeated passage is cut (bytes of a character cut in half go too), and n_chars, if there, counts what is left."""
 
     @F.pandas_udf("string")
+    @tidy
     def strip(batches: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
         for texts, spans in batches:
             yield pd.Series([cut(_raw(t), merge(s)).decode("utf-8", "ignore") if s is not None else t for t, s in zip(texts, spans, strict=True)])

@@ -6,6 +6,10 @@ batch or per text and never once per word.
 
 from __future__ import annotations
 
+import ctypes
+import functools
+import gc
+
 import numpy as np
 
 U64 = np.uint64
@@ -21,6 +25,36 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
 
+#: Powers of the hash's base and of its inverse, as long as they were ever needed.
+_held: dict[bool, np.ndarray] = {}
+
+
+def trim() -> None:
+    """Give freed memory back to the system: a Python worker outlives its tasks, and several share an executor's limit."""
+    import pyarrow
+
+    gc.collect()
+    _held.clear()
+    pyarrow.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):
+        pass  # a C library without it
+
+
+def tidy(run):
+    """A generator function that trims when it has ended."""
+
+    @functools.wraps(run)
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            trim()
+
+    return wrapped
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective finaliser that spreads every input bit over the 64 output bits."""
     x = np.asarray(x, dtype=U64)
@@ -33,9 +67,6 @@ def mix64(x: np.ndarray) -> np.ndarray:
 BYTE_VALUE = mix64(np.arange(1, 257, dtype=U64) * U64(0xD1342543DE82EF95))
 
 
-_held: dict[bool, np.ndarray] = {}
-
-
 def powers(n: int, inverse: bool = False) -> np.ndarray:
     """The first n powers of the base, or of its inverse. The longest array so far is kept, and only that."""
     have = _held.get(inverse)
