@@ -17,6 +17,8 @@ from pyspark.sql import functions as F
 
 TARGET_BYTES = 128 << 20
 FAN_IN = 4
+#: Manifests of up to this many shards are broadcast, at some 200 bytes each; longer ones are joined.
+BROADCAST_SHARDS = 50_000
 #: Merges in one job: each is one task that reads its shards and writes one file.
 MERGES_PER_JOB = 64
 
@@ -155,4 +157,6 @@ def op5(spark, sf_dir: str) -> DataFrame:
     store.compact(docs.schema, vacuum=True)
     m = store.compact(docs.schema, final=True, vacuum=True)
     shards = spark.createDataFrame([(s.path, k, s.rows, s.bytes, s.tier, m.version) for k, s in enumerate(m.shards)], "__shard string, shard_id long, shard_rows long, shard_bytes long, tier int, version int")
-    return store.read(docs.schema).join(shards, "__shard").select("doc_id", "source", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"), "shard_id", "shard_rows", "shard_bytes", "tier", "version")
+    # texts become sizes and digests before anything moves; a manifest of bounded length goes to the rows
+    rows = store.read(docs.schema).select("doc_id", "source", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"), "__shard")
+    return rows.join(F.broadcast(shards) if len(m.shards) <= BROADCAST_SHARDS else shards, "__shard").drop("__shard")
