@@ -34,7 +34,7 @@ def variance_bound(b: float, n: int, m: float) -> float:
 
 def theoretical_calls(b: float, n: int, eps: float, mu: float) -> int:
     """Calls after which Chebyshev's inequality grants a relative error below eps with probability mu."""
-    return math.ceil(b / (1 - b) * (b**-n - 1) / (eps * eps * (1 - mu)) - 1e-9)
+    return math.ceil(round(b / (1 - b) * (b**-n - 1) / (eps * eps * (1 - mu)), 3))
 
 
 def uniform_variance(m: float, space: float) -> float:
