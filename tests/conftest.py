@@ -35,8 +35,10 @@ def duck():
 def same(spark_df, duck_df) -> bool:
     """Equal rows in any order, floats to six places."""
 
+    import pandas as pd
+
     def rows(df):
         df = df[sorted(df.columns)].astype(object)
-        return sorted((tuple(None if v is None or v != v else round(float(v), 6) if isinstance(v, float) else str(v) for v in r) for r in df.itertuples(index=False)), key=str)
+        return sorted((tuple(None if pd.isna(v) else round(float(v), 6) if isinstance(v, float) else str(v) for v in r) for r in df.itertuples(index=False)), key=str)
 
     return rows(spark_df.toPandas()) == rows(duck_df)
