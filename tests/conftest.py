@@ -1,3 +1,4 @@
+import numbers
 import os
 import sys
 
@@ -39,6 +40,6 @@ def same(spark_df, duck_df) -> bool:
 
     def rows(df):
         df = df[sorted(df.columns)].astype(object)
-        return sorted((tuple(None if pd.isna(v) else round(float(v), 6) if isinstance(v, float) else str(v) for v in r) for r in df.itertuples(index=False)), key=str)
+        return sorted((tuple(None if pd.isna(v) else round(float(v), 6) if isinstance(v, numbers.Number) and not isinstance(v, bool) else str(v) for v in r) for r in df.itertuples(index=False)), key=str)
 
     return rows(spark_df.toPandas()) == rows(duck_df)
