@@ -101,7 +101,7 @@ class PrefixHash:
             b = min(n, a + step)
             part = BYTE_VALUE[buf[a:b]]
             part *= powers(n)[a:b] if self.at is None else powers(int(self.at[a:b].max()) + 1)[self.at[a:b]]
-            part[0] += self.sums[a]
+            part[:1] += self.sums[a : a + 1]
             np.cumsum(part, out=self.sums[a + 1 : b + 1])
         self.inv = powers(n + 1 if self.at is None else int(self.at.max(initial=0)) + 1, inverse=True)
 
