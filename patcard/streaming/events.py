@@ -69,7 +69,7 @@ def drift(events: DataFrame, built_on: int, shares: tuple[float, ...] = (0.05, 0
         share = seen / max(1, built_on)
         yield pd.DataFrame({"seen": [seen], "share": [share], "rebuild": [share >= shares[0]], "urgent": [share >= shares[-1]]})
 
-    return events.groupBy(F.lit(0).alias("k")).applyInPandasWithState(count, "seen long, share double, rebuild boolean, urgent boolean", "seen long", "update", GroupStateTimeout.NoTimeout)
+    return events.select(F.lit(0).alias("k"), "event_id").groupBy("k").applyInPandasWithState(count, "seen long, share double, rebuild boolean, urgent boolean", "seen long", "update", GroupStateTimeout.NoTimeout)
 
 
 def estimate_snapshots(spark: SparkSession, events: DataFrame, labels: DataFrame, estimate, path: str) -> None:
