@@ -2,9 +2,10 @@
 
 The standard library's parser streams events; each block-level element is one line with its text,
 the tags inside it and the share of its text that stands in links. Boilerplate containers are
-left out by tag, role, class and id. Where a page marks its article, the lines inside are the
-text; where it doesn't, the lines' text-to-tag ratios are smoothed with a Gaussian and split in
-two clusters, and the lines of the upper one are the text.
+left out by tag, role, class and id. On every page the lines' text-to-tag ratios are smoothed with
+a Gaussian and split in two clusters; the upper one is the core of the text. A mark of the page
+(article, main) is a prior only: it says on which side of its border the text stands, if most of
+the core agrees. Containers that are mostly core give their short lines too.
 """
 
 from __future__ import annotations
@@ -26,6 +27,9 @@ SILENT = frozenset("script style noscript template svg math head title iframe ob
 #: Never article text: menus, page furniture, forms.
 FURNITURE = frozenset("nav footer aside form menu button select textarea dialog fieldset datalist".split())
 REGIONS = frozenset(("article", "main"))
+#: Containers that hold a run of lines.
+GROUPS = REGIONS | {"div", "section"}
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alertdialog alert menu menubar".split())
 #: Parts of class and id names that mark page furniture.
 MARKS = frozenset("ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner nav navbar navigation menu submenu breadcrumb breadcrumbs sidebar side rail footer masthead cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe subscription signup login share sharing social related recommended recommendations comment comments commentlist disqus reply replies respond widget toolbar pagination pager skip toc search".split())
@@ -40,7 +44,13 @@ class Line:
     parts: list[str] = field(default_factory=list)
     tags: int = 0
     linked: int = 0
-    region: int = 0
+    region: int = 0  # 2 in an article, 1 in main alone
+    group: int = 0  # number of the innermost container, 0 for the page's body
+    heading: bool = False
+
+    @property
+    def mostly_links(self) -> bool:
+        return 2 * self.linked > len(self.text)
 
     @property
     def text(self) -> str:
@@ -55,13 +65,19 @@ class LineReader(HTMLParser):
         self.lines: list[Line] = []
         self.line = Line()
         self.open: list[tuple[str, bool, bool, bool]] = []  # tag, leaves text out, is a region, is a link
-        self.out = self.regions = self.links = 0
-        self.regions_seen = 0
+        self.out = self.regions = self.articles = self.links = self.headings = 0
+        self.groups, self.groups_seen = [0], 0
 
     def _break(self):
         if self.line.parts:
             self.lines.append(self.line)
-        self.line = Line(region=self.regions)
+        self.line = Line()
+        self._place()
+
+    def _place(self):
+        self.line.region = 2 if self.articles else 1 if self.regions else 0
+        self.line.group = self.groups[-1]
+        self.line.heading = self.headings > 0
 
     def _drops(self, tag: str, attrs: dict) -> bool:
         if tag in SILENT or tag in FURNITURE or tag == "header" and not self.regions:
@@ -95,10 +111,14 @@ class LineReader(HTMLParser):
         self.open.append((tag, drops, region, tag == "a"))
         self.out += drops
         self.regions += region
+        self.articles += region and tag == "article"
         self.links += tag == "a"
-        if region:
-            self.regions_seen += 1
-            self.line.region = self.regions
+        self.headings += tag in HEADINGS
+        if tag in GROUPS:
+            self.groups_seen += 1
+            self.groups.append(self.groups_seen)
+        if tag in BLOCKS:
+            self._place()
 
     def handle_startendtag(self, tag, attrs):
         self.handle_starttag(tag, attrs)
@@ -117,17 +137,22 @@ class LineReader(HTMLParser):
             return
         if any(name in BLOCKS for name, *_ in self.open[at:]):
             self._break()
-        for _, drops, region, link in self.open[at:]:
+        for name, drops, region, link in self.open[at:]:
             self.out -= drops
             self.regions -= region
+            self.articles -= region and name == "article"
             self.links -= link
+            self.headings -= name in HEADINGS
+            if name in GROUPS:
+                self.groups.pop()
         del self.open[at:]
-        self.line.region = self.regions
+        if not self.line.parts:
+            self._place()
 
     def handle_data(self, data):
         if not self.out:
             if not self.line.parts:
-                self.line.region = self.regions
+                self._place()
             self.line.parts.append(data)
             if self.links:
                 self.line.linked += len(data.strip())
@@ -160,15 +185,39 @@ def upper_cluster(values: np.ndarray) -> np.ndarray:
     return values > (low + high) / 2
 
 
-def main_lines(lines: list[Line], regions_seen: int, sigma: float = 1.0) -> list[Line]:
-    """The lines inside marked articles; without any, those whose smoothed text-to-tag ratio is in the upper cluster and that are not mostly links."""
-    if regions_seen and (inside := [x for x in lines if x.region]):
-        return inside
+def main_lines(lines: list[Line], sigma: float = 1.0) -> list[Line]:
+    """The lines of the text, chosen by their smoothed text-to-tag ratios on every page.
+
+    Core: lines of the upper cluster that are not mostly links. Marks are a prior: articles that
+    hold less than half of the core are teasers and are left out; of the rest, where marks hold
+    half of the core or more, the lines outside are left out. A container at least half of whose
+    text is core gives all lines but lists of links; elsewhere core lines stay, and headings right
+    above them. Without any core the marked lines are the text.
+    """
     if not lines:
         return []
-    own = np.array([max(0, len(x.text) - x.linked) / (x.tags + 1) for x in lines])
-    keep = upper_cluster(smooth(np.log1p(own), sigma))
-    return [x for x, k in zip(lines, keep, strict=True) if k and 2 * x.linked <= len(x.text)]
+    size = np.array([max(0, len(x.text) - x.linked) for x in lines])
+    upper = upper_cluster(smooth(np.log1p(size / (np.array([x.tags for x in lines]) + 1)), sigma))
+    links = np.array([x.mostly_links for x in lines])
+    region, group, heading = (np.array([getattr(x, name) for x in lines]) for name in ("region", "group", "heading"))
+    core = upper & ~links
+    if not core.any():
+        return [x for x in lines if x.region]
+    text = size * core
+    allowed = np.ones(len(lines), dtype=bool)
+    if 2 * text[region == 2].sum() < text.sum():
+        allowed &= region != 2
+    if 2 * text[allowed & (region > 0)].sum() >= text[allowed].sum():
+        allowed &= region > 0
+    core &= allowed
+    keep = core.copy()
+    for g in set(group[core].tolist()) - {0}:
+        own = allowed & (group == g)
+        if 2 * size[own & core].sum() >= size[own].sum():
+            keep |= own & (upper | heading | ~links)
+    for i in range(len(lines) - 2, -1, -1):
+        keep[i] |= heading[i] and allowed[i] and keep[i + 1] and group[i] == group[i + 1]
+    return [x for x, k in zip(lines, keep, strict=True) if k]
 
 
 def extract(html: str | None) -> str:
@@ -177,7 +226,7 @@ def extract(html: str | None) -> str:
         return ""
     reader = LineReader()
     reader.feed(html)
-    return "\n".join(x.text for x in main_lines(reader.finish(), reader.regions_seen))
+    return "\n".join(x.text for x in main_lines(reader.finish()))
 
 
 def extract_pages(pages: DataFrame, *, html_col: str = "html", out_col: str = "text") -> DataFrame:

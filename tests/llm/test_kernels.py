@@ -141,6 +141,15 @@ def test_main_text():
     assert got.startswith("A long") and "d" not in got.split("\n")
 
 
+def test_teaser_articles_do_not_displace_the_story():
+    story = ["Head", *["A long sentence of the story, told plainly. " * 6] * 4, "Short."]
+    body = f"<h1>{story[0]}</h1>" + "".join(f"<p>{x}</p>" for x in story[1:])
+    cards = "".join(f"<article><h2><a href={i}>Card {i}</a></h2><p>See what comes next</p></article>" for i in range(4))
+    want = "\n".join(x.strip() for x in story)
+    for page in (f"{cards}<div>{body}</div>{cards}", f"<main>{cards}<div>{body}</div></main>", f"<div>{body}</div>", f"<article>{body}<ul><li><a href=1>More</a><li><a href=2>Yet more</a></ul></article>"):
+        assert H.extract(f"<body>{page}<footer>The end</footer></body>") == want
+
+
 def test_language_net_learns():
     rng = random.Random(5)
     kinds = {"aa": "the and of in to", "bb": "der die und das ist", "cc": "que los para una del"}

@@ -165,6 +165,12 @@ def test_pages(spark):
     assert [r["text"] for r in html_text.extract_pages(pages).orderBy("page_id").collect()] == ["", "", "a&b"]
 
 
+def test_unmarked_copies_give_the_same_text(duck):
+    """Ratios and clusters alone, on the given pages with their marks taken away."""
+    for (html,) in duck.execute("select html from pages").fetchall():
+        assert html_text.extract(html.replace("<article", "<div").replace("</article", "</div")) == html_text.extract(html) != ""
+
+
 @pytest.mark.parametrize("unit", [True, False])
 def test_neighbours_against_brute_force(spark, unit):
     rng = np.random.default_rng(3)
