@@ -38,10 +38,11 @@ QUOTES = frozenset("\"“”„«»‹›‘’")
 
 @dataclass
 class Lexicon:
-    """words: whole words; stems: beginnings of words."""
+    """words: whole words, those of the stems' families too; stems: beginnings of words; clean: words near a term that are words of clean documents, and so no misspellings."""
 
     words: list[str]
     stems: list[str]
+    clean: frozenset[str] = frozenset()
 
 
 def _surprise(bad: int, n_bad: int, good: int, n_good: int) -> float:
@@ -61,7 +62,8 @@ def learn_lexicon(texts: list[str], labels: list[int], *, share: float = 0.01, p
     A term must be in a share of the toxic documents, pure (the classes weighed equally), far from
     chance, and met between different neighbours about as often as it is met at all: a term that
     only copies of one text hold says nothing about toxicity. A stem needs three different words;
-    of stems that begin alike the shortest stays, and words with a stem are left to it.
+    of stems that begin alike the shortest stays. Words with a stem are hits by it; those of them
+    that are pure are terms as well, so that their misspellings are matched inside the stem too.
     """
     seen, n = (Counter(), Counter()), [0, 0]
     tokens = [_token.findall(t.lower()) for t in texts]
@@ -79,9 +81,12 @@ def learn_lexicon(texts: list[str], labels: list[int], *, share: float = 0.01, p
                     forms[w[:k]] += y
     least = max(6, share * n[1])
 
+    def pure(bad: int, good: int) -> bool:
+        return bad / n[1] >= purity * (bad / n[1] + (good + 0.05) / n[0])
+
     def fit(bad: int, good: int, surprise: float = surprise) -> bool:
         bad, good = min(bad, n[1]), min(good, n[0])
-        return bad >= least and bad / n[1] >= purity * (bad / n[1] + (good + 0.05) / n[0]) and _surprise(bad, n[1], good, n[0]) >= surprise
+        return bad >= least and pure(bad, good) and _surprise(bad, n[1], good, n[0]) >= surprise
 
     words = {w for w, c in seen[1].items() if len(w) >= 3 and fit(c, seen[0][w])}
     stem_set = {s for s, c in stems[1].items() if forms[s] >= 3 and fit(c, stems[0][s], stem_surprise)}
@@ -99,7 +104,12 @@ def learn_lexicon(texts: list[str], labels: list[int], *, share: float = 0.01, p
             most[s] = max(most[s], seen[1][w])
     stem_set = {s for s in stem_set if 2 * len(around[s + "…"]) >= min(stems[1][s], 2 * least) and 2 * most[s + "…"] <= stems[1][s]}
     stem_set = {s for s in stem_set if not any(s[:j] in stem_set for j in stem_lengths if j < len(s))}
-    return Lexicon(sorted(w for w in words if not any(w[:j] in stem_set for j in stem_lengths)), sorted(stem_set))
+    family = {w for w, c in seen[1].items() if any(w[:j] in stem_set for j in stem_lengths if j < len(w))}
+    family = {w for w in family if allowed_edits(w) and pure(seen[1][w], seen[0][w])}
+    out = Lexicon(sorted({w for w in words if not any(w[:j] in stem_set for j in stem_lengths)} | family), sorted(stem_set))
+    trie = FuzzyTrie(out)
+    out.clean = frozenset(w for w, c in seen[0].items() if c / n[0] >= seen[1][w] / n[1] and trie.edits(w))
+    return out
 
 
 def allowed_edits(term: str) -> int:
@@ -195,7 +205,7 @@ class Scanner:
     """Counts of one text's hits by kind; words met before are not walked again."""
 
     def __init__(self, lexicon: Lexicon):
-        self.trie, self.known = FuzzyTrie(lexicon), {}
+        self.trie, self.clean, self.known = FuzzyTrie(lexicon), lexicon.clean, {}
 
     def hits(self, text: str) -> list[tuple[str, int, int, int, bool]]:
         """(word, start, end, edits, quoted) of every hit."""
@@ -206,7 +216,7 @@ class Scanner:
         known, hit = self.known, False
         for w in set(words):
             if w not in known:
-                known[w] = self.trie.edits(w)
+                known[w] = None if w in self.clean else self.trie.edits(w)
             hit = hit or known[w] is not None
         if not hit:
             return []
@@ -248,8 +258,25 @@ class ToxicityModel:
         return {k: v for k, v in self.__dict__.items() if k != "_scanner"}
 
 
+def misspell(word: str, rng: np.random.Generator) -> str:
+    """The word with a wrong, a missing or an extra letter behind its first one; words too short to be matched with edits as they are."""
+    if not allowed_edits(word):
+        return word
+    i, letter = int(rng.integers(1, min(len(word), 8))), word[int(rng.integers(len(word)))]
+    return word[:i] + (letter, "", word[i] + letter)[int(rng.integers(3))] + word[i + 1 :]
+
+
+def misspelled(text: str, scanner: Scanner, rng: np.random.Generator) -> str:
+    """The text with every hit misspelled."""
+    out, last = [], 0
+    for word, a, b, _, _ in scanner.hits(text):
+        out += [text[last:a], misspell(word, rng)]
+        last = b
+    return "".join([*out, text[last:]])
+
+
 def train(texts: list[str], labels: list[int], *, steps: int = 800, lr: float = 0.3) -> ToxicityModel:
-    """Lexicon from one half of the rows, the logistic layer from the other, so that its weights know how the lexicon fares on new texts; then the lexicon is learned anew from all. Only one label: a constant model."""
+    """Lexicon from one half of the rows, the logistic layer from the other, so that its weights know how the lexicon fares on new texts; then the lexicon is learned anew from all. Of every row the layer also reads a copy with misspelled hits: few rows have misspellings of their own to learn from. Only one label: a constant model."""
     y = np.array([int(v) for v in labels])
     if len(set(y.tolist())) < 2:
         share = float(y.mean()) if len(y) else 0.5
@@ -257,8 +284,9 @@ def train(texts: list[str], labels: list[int], *, steps: int = 800, lr: float =
     half = np.arange(len(y)) % 2 == 0
     first = learn_lexicon([t for t, h in zip(texts, half, strict=True) if h], y[half].tolist())
     scanner = Scanner(first)
-    x = np.array([scanner.inputs(t) for t in texts])[~half]
-    t = y[~half]
+    rng, rest = np.random.default_rng(5), [t for t, h in zip(texts, half, strict=True) if not h]
+    x = np.array([scanner.inputs(t) for t in [*rest, *(misspelled(t, scanner, rng) for t in rest)]]).reshape(-1, len(INPUTS))
+    t = np.tile(y[~half], 2)
     w, b = np.full(len(INPUTS), 1.0), -2.0
     mass = np.where(t == 1, 0.5 / max(1, t.sum()), 0.5 / max(1, (1 - t).sum()))  # the classes weigh the same
     for _ in range(steps):

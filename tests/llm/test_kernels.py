@@ -202,6 +202,25 @@ def test_levenshtein_trie_matches_plain_distance():
         assert trie.edits(w) == (0 if w.startswith("lowei") else min(fits, default=None)), w
 
 
+@pytest.mark.parametrize(("stem", "ends"), [("achl", "ichst ichheit icher ichber ichkeit ichung"), ("bome", "ntera ntemi nteta ntega ntedo nteja"), ("réeu", "xpa xment xvi xaux xelle xtion")])
+def test_misspelled_members_of_a_stem_are_toxic(stem, ends):
+    """In words of German, Spanish and French shape; a word of clean documents is no misspelling."""
+    rng = random.Random(9)
+    near = "z" + (stem + ends.split()[0])[1:]
+    plain = [*("".join(rng.choice("abdnort") for _ in range(6)) for _ in range(300)), near]
+    text = lambda *words: " ".join(x for w in words for x in (*rng.choices(plain, k=5), w)) + " " + rng.choice(plain)
+    forms = [stem + e for e in ends.split()]
+    bad, good = [text(*rng.sample(forms, 3)) for _ in range(120)], [text(rng.choice(plain), near, rng.choice(plain)) for _ in range(240)]
+    model = toxicity.train([x for i in range(120) for x in (bad[i], good[2 * i], good[2 * i + 1])], [1, 0, 0] * 120)
+    assert any(forms[0].startswith(s) for s in model.lexicon.stems)
+    scan = toxicity.Scanner(model.lexicon)
+    for f in forms:
+        for wrong in (f[:2] + "q" + f[3:], f[:2] + f[3:], f[:3] + "q" + f[3:]):
+            assert [h[3] for h in scan.hits(wrong)] == [1], wrong
+            assert model.score([text(wrong, wrong, wrong)])[0] >= toxicity.THRESHOLD
+    assert scan.hits(near) == [] and model.score([text(near, near, near)])[0] < toxicity.THRESHOLD
+
+
 def test_quotation_is_told_from_abuse():
     scan = toxicity.Scanner(toxicity.Lexicon(["idiot"], []))
     assert [h[4] for h in scan.hits('He said "you idiot" to them')] == [True]
