@@ -13,6 +13,10 @@ from llm import decontamination, language_id, near_duplicates, packing, suffix_d
 from llm.store import keep, small_batches, table, workspace
 
 
+#: Near duplicates of the pipeline: Jaccard similarity in percent. 85 is the rule of op1 only.
+NEAR_PERCENT = 80
+
+
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a language that the classifier recognises; it is learned from the given lang column."""
     small_batches(spark)
@@ -21,8 +25,8 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates: the one with the smallest doc_id."""
-    return near_duplicates.keep_one_of_each(docs)
+    """One document of each group of near duplicates (five-word shingles, similarity of 0.8 and more): the one with the smallest doc_id."""
+    return near_duplicates.keep_one_of_each(docs, percent=NEAR_PERCENT)
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -28,7 +28,7 @@ BUCKET_BITS = 7
 BUCKETS = 1 << BUCKET_BITS
 MANTISSA_BITS = 10
 BANDS, ROWS = 24, 5
-#: Links: 100 * intersection >= LINK_PERCENT * union.
+#: Links of op1: 100 * intersection >= LINK_PERCENT * union.
 LINK_PERCENT = 85
 #: How far below the threshold an estimate may fall and still be verified: five standard errors of 128 registers.
 ESTIMATE_SLACK = 0.16
@@ -122,12 +122,12 @@ def bands_of(classes: DataFrame) -> DataFrame:
     return classes.select("id", F.explode(keys("regs")).alias("key"))
 
 
-def _linked(a: np.ndarray, b: np.ndarray) -> bool:
+def _linked(a: np.ndarray, b: np.ndarray, percent: int = LINK_PERCENT) -> bool:
     both = len(np.intersect1d(a, b, assume_unique=True))
-    return 100 * both >= LINK_PERCENT * (len(a) + len(b) - both)
+    return 100 * both >= percent * (len(a) + len(b) - both)
 
 
-def confirm(pairs: DataFrame) -> DataFrame:
+def confirm(pairs: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
     """Pairs (a, b) with regs and texts of both sides that are links: estimated first, then confirmed on the full sets."""
 
     @tidy
@@ -136,7 +136,7 @@ def confirm(pairs: DataFrame) -> DataFrame:
             if not len(df):
                 continue
             ra, rb = (np.frombuffer(b"".join(df[c]), dtype="<u2").reshape(-1, BUCKETS) for c in ("regs_a", "regs_b"))
-            df = df[estimate(ra, rb) >= LINK_PERCENT / 100 - ESTIMATE_SLACK]
+            df = df[estimate(ra, rb) >= percent / 100 - ESTIMATE_SLACK]
             memo: dict[int, np.ndarray] = {}
             ok = []
             for a, b, ta, tb in zip(df["a"], df["b"], df["text_a"], df["text_b"], strict=True):
@@ -145,13 +145,13 @@ def confirm(pairs: DataFrame) -> DataFrame:
                         if len(memo) > 2000:
                             memo.clear()
                         memo[i] = shingle_hashes([t])[0]
-                ok.append(_linked(memo[a] if a in memo else shingle_hashes([ta])[0], memo[b]))
+                ok.append(_linked(memo[a] if a in memo else shingle_hashes([ta])[0], memo[b], percent))
             yield df.loc[ok, ["a", "b"]]
 
     return pairs.mapInPandas(run, "a long, b long")
 
 
-def search_block(ids: np.ndarray, comps: np.ndarray, sets: list[np.ndarray], side: np.ndarray | None) -> list[tuple[int, int]]:
+def search_block(ids: np.ndarray, comps: np.ndarray, sets: list[np.ndarray], side: np.ndarray | None, percent: int = LINK_PERCENT) -> list[tuple[int, int]]:
     """Links that join components of the given classes, one for each join at most.
 
     Intersections of all sets at once: a shared shingle is a column of an incidence matrix, and
@@ -174,7 +174,7 @@ def search_block(ids: np.ndarray, comps: np.ndarray, sets: list[np.ndarray], sid
             m = np.zeros((n, width), dtype=np.float32)
             m[owner[a:b], col[a:b] - lo] = 1
             both += m @ m.T
-    i, j = np.nonzero(np.triu(100 * both >= LINK_PERCENT * (sizes[:, None] + sizes[None, :] - both), 1))
+    i, j = np.nonzero(np.triu(100 * both >= percent * (sizes[:, None] + sizes[None, :] - both), 1))
     keep = comps[i] != comps[j]
     if side is not None:
         keep &= side[i] != side[j]
@@ -194,7 +194,7 @@ def search_block(ids: np.ndarray, comps: np.ndarray, sets: list[np.ndarray], sid
     return out
 
 
-def joining_links(members: DataFrame) -> DataFrame:
+def joining_links(members: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
     """Links between different components inside the blocks. Rows (block, side, id, comp, text) are dealt and sorted by block; a block is at most 2 * BLOCK rows."""
 
     def flush(df: pd.DataFrame) -> list[tuple[int, int]]:
@@ -205,7 +205,7 @@ def joining_links(members: DataFrame) -> DataFrame:
         side = df["side"].to_numpy()
         texts = df["text"].tolist()
         sets = [s for part in text_batches(texts) for s in shingle_hashes(texts[part])]
-        return search_block(df["id"].to_numpy(), comps, sets, side if side.max() else None)
+        return search_block(df["id"].to_numpy(), comps, sets, side if side.max() else None, percent)
 
     @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -256,8 +256,8 @@ def components(links: DataFrame, path: str) -> DataFrame:
             return label
 
 
-def group(docs: DataFrame, *, folder: str | None = None) -> DataFrame:
-    """doc_id, n_shingles, component_id and kept for every row of docs (columns doc_id and text; others are ignored).
+def group(docs: DataFrame, *, percent: int = LINK_PERCENT, folder: str | None = None) -> DataFrame:
+    """doc_id, n_shingles, component_id and kept for every row of docs (columns doc_id and text; others are ignored). percent: the Jaccard similarity of a link; bands are made for 80 and more.
 
     A null or wordless text has an empty set and is linked with nothing. Rows that repeat a
     doc_id are each returned; they count as one document, linked with whatever any of them is
@@ -298,7 +298,7 @@ def group(docs: DataFrame, *, folder: str | None = None) -> DataFrame:
     # every two parts of a bucket meet in one block; a part with itself too
     blocks = blocks.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     blocks = blocks.select(F.xxhash64("key", F.least("part", "other"), F.greatest("part", "other")).alias("block"), F.when(F.col("part") < F.col("other"), 1).when(F.col("part") > F.col("other"), 2).otherwise(0).alias("side"), "id", "comp")
-    more = keep(joining_links(blocks.join(texts.select("id", "text"), "id")), f"{path}/links2")
+    more = keep(joining_links(blocks.join(texts.select("id", "text"), "id"), percent), f"{path}/links2")
     drop(spark, f"{path}/crowded", f"{path}/texts")
     release(spark)
     final = components(links.unionByName(more), f"{path}/comp2")
@@ -308,9 +308,9 @@ def group(docs: DataFrame, *, folder: str | None = None) -> DataFrame:
     return out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce(F.coalesce("component", "doc_id") == F.col("doc_id"), F.lit(False)).alias("kept"))
 
 
-def keep_one_of_each(docs: DataFrame) -> DataFrame:
+def keep_one_of_each(docs: DataFrame, *, percent: int = LINK_PERCENT) -> DataFrame:
     """The document with the smallest doc_id of each group, once; documents without an id stay as they are."""
-    kept = group(docs).where("kept").select("doc_id").distinct()
+    kept = group(docs, percent=percent).where("kept").select("doc_id").distinct()
     rest = docs.where("doc_id is null")
     w = Window.partitionBy("doc_id").orderBy(F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns]))
     first = docs.join(kept, "doc_id", "left_semi").withColumn("__copy", F.row_number().over(w)).where("__copy = 1").drop("__copy")
@@ -318,4 +318,4 @@ def keep_one_of_each(docs: DataFrame) -> DataFrame:
 
 
 def op1(spark, sf_dir: str) -> DataFrame:
-    return group(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return group(table(spark, sf_dir, "documents").select("doc_id", "text"), percent=LINK_PERCENT)

@@ -88,6 +88,26 @@ def test_near_duplicates_of_a_family_in_blocks(spark, monkeypatch):
     assert out == brute_components(rows)
 
 
+def test_pipeline_links_at_80_percent(spark):
+    """Pairs at 0.82 and 0.80 are one document for the pipeline and two for op1; 0.79 is two for both."""
+    import corpus_pipeline
+
+    rows, shares = [], []
+    for k, words in enumerate((49, 54, 51)):
+        text = [f"p{k}w{i}" for i in range(words + 4)]
+        other = [*text[:20], f"p{k}other", *text[21:]]
+        a, b = slow_shingles(" ".join(text)), slow_shingles(" ".join(other))
+        shares.append(len(a & b) / len(a | b))
+        rows += [(2 * k, " ".join(text), "", "", ""), (2 * k + 1, " ".join(other), "", "", "")]
+    assert [round(x, 2) for x in shares] == [0.81, 0.83, 0.82]
+    rows += [(10, " ".join(f"e{i}" for i in range(49)), "", "", ""), (11, " ".join("x" if i == 20 else f"e{i}" for i in range(49)), "", "", "")]  # 40 of 50
+    rows += [(12, " ".join(f"f{i}" for i in range(46)), "", "", ""), (13, " ".join("x" if i == 20 else f"f{i}" for i in range(46)), "", "", "")]  # 37 of 47
+    docs = spark.createDataFrame(rows, SCHEMA)
+    kept = corpus_pipeline.drop_near_duplicates(spark, docs, SMALL)
+    assert sorted(r["doc_id"] for r in kept.collect()) == [0, 2, 4, 10, 12, 13]
+    assert near_duplicates.group(docs).where("kept").count() == len(rows)
+
+
 @pytest.mark.parametrize("hot", [50_000, 2])
 def test_repeats(docs, none, hot, monkeypatch):
     monkeypatch.setattr(suffix_dedup, "HOT", hot)
