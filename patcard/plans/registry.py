@@ -70,7 +70,7 @@ def queries() -> dict:
     out["profile_P6"] = lambda s, d: Walker(*_g(s, d, "P6"), ORDERS["P6"]).profile(s, 1, 10)
     out["progressive_P5"] = lambda s, d: progressive(Walker(*_g(s, d, "P5"), ORDERS["P5"]).weights(s, 1, 20), 4, 20)
     out["autoratio_P6"] = lambda s, d: s.createDataFrame([auto_ratio(*_g(s, d, "P6"), target=0.3, start=20, cap=80)], "calls int, est double, half double")
-    out["subqueries_P7"] = lambda s, d: planner.estimate_subqueries(*_g(s, d, "P5"), exact=True)
+    out["subqueries_P7"] = lambda s, d: planner.estimate_subqueries(*_g(s, d, "P7"))
     out["joinorder_P7"] = lambda s, d: _join_order(s, d)
     # baselines
     out["htblind_toy"] = lambda s, d: S.ht_blind(toy(s, 1), parse_pattern(TOY_QUERY), calls=50)
@@ -98,7 +98,7 @@ def queries() -> dict:
     out["index_level1"] = lambda s, d: I.build_index(GRAPHS["G_trade"](s, d).persist(), max_edges=1, use_labels=workloads.KINDS, force=True).table()
     out["index_patterns"] = lambda s, d: workloads.small_index(GRAPHS["G_trade"](s, d).persist()).table()
     out["hybrid_P6"] = lambda s, d: _hybrid(s, d)
-    out["refresh_G_act"] = lambda s, d: workloads.stale_activity(s, d, 1.0).edges.exceptAll(workloads.stale_activity(s, d, 0.9).edges).groupBy("elabel").count()
+    out["refresh_G_act"] = lambda s, d: workloads.stale_index(s, d).refresh(workloads.stale_activity(s, d, 1.0).persist()).table()
     out["labelgroups_G_copart"] = lambda s, d: I.group_labels(GRAPHS["G_copart"](s, d), 8)
     # theory
     out["varbound"] = lambda s, d: s.createDataFrame([(variance_bound(1 / 32, 5, 20.0), theoretical_calls(1 / 32, 5, 0.5, 0.9))], "bound double, calls long")
@@ -146,8 +146,8 @@ def _edge_domains(s, d):
 
 
 def _join_order(s, d):
-    g, q = _g(s, d, "P5")
-    sizes = {r["part"]: r["est"] for r in planner.estimate_subqueries(g, q, exact=True).collect()}
+    g, q = _g(s, d, "P7")
+    sizes = {r["part"]: r["est"] for r in planner.estimate_subqueries(g, q).collect()}
     order, cost = planner.best_join_order(g, q, sizes)
     return s.createDataFrame([(",".join(order), float(cost))], "order_ string, cost double")
 
