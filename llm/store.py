@@ -24,10 +24,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def workspace(spark: SparkSession, name: str) -> str:
-    """A fresh folder under spark.checkpoint.dir; only where that is unset, as in tests, a local temporary one."""
+    """A fresh folder under spark.checkpoint.dir; where that is unset, a temporary one of this machine, which only a session on this machine alone may use."""
     small_batches(spark)
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
         root = "file://" + tempfile.mkdtemp(prefix="patcard-")
     return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
 
@@ -52,6 +55,14 @@ def release(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """The name, with underscores before it until no column of df has it."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
+
+
 def holdout(doc_id_column: str, modulus: int, remainder: int) -> str:
     """SQL for 'crc32 of the id as text has this remainder': such rows are never learned from."""
     return f"crc32(cast({doc_id_column} as string)) % {modulus} = {remainder}"
