@@ -1,7 +1,7 @@
 """Language identification by a byte-level convolutional network.
 
-Bytes are folded to 32 symbols (letters without case, Latin-1 accents, a lead-byte mark, one
-boundary symbol). Filters of widths 2 and 3 slide over fixed-length windows, each is max-pooled
+Bytes are folded to 32 symbols (letters without case, the low bits of continuation bytes, five
+kinds of lead bytes, one boundary symbol). Filters of widths 2 and 3 slide over fixed-length windows, each is max-pooled
 over its window, and a softmax layer reads the pooled values. It is trained in numpy with Adam.
 
 Scoring evaluates the same network without visiting a position twice: a filter's response
@@ -11,26 +11,25 @@ once, and the maximum over a window is the maximum over the distinct n-grams it
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from llm.store import holdout
+from llm.store import fresh, holdout
 from llm.textkit import tidy
 
 UNDETERMINED = "und"
 WINDOW = 1024
-#: Documents that training reads at most, chosen by a hash of their id, and characters of each.
+#: Documents that training reads at most, whole, chosen by a hash of their id.
 MAX_TRAIN_DOCS = 6000
-MAX_TRAIN_CHARS = 20_000
 
 SYMBOLS = 32
-_letter = re.compile(r"[^\W\d_]")
+_letter = regex.compile(r"\p{L}")
 
 
 def _symbol_table() -> np.ndarray:
@@ -38,7 +37,8 @@ def _symbol_table() -> np.ndarray:
     for lower, upper in zip(range(97, 123), range(65, 91), strict=True):
         sym[lower] = sym[upper] = lower - 96
     sym[0x80:0xC0] = np.arange(0x80, 0xC0) & 31  # accents: upper and lower case differ by 32
-    sym[0xC0:] = 27
+    for k, lead in enumerate((0xC0, 0xC4, 0xD0, 0xE0, 0xF0)):  # Latin-1, further two-byte letters, other alphabets, three bytes, four bytes
+        sym[lead:] = 27 + k
     return sym
 
 
@@ -85,14 +85,14 @@ def train(texts: list[str], labels: list[str], *, seed: int = 7, steps: int = 70
 
     Each step takes windows of one length, cycling from 16 to WINDOW bytes, cut at random
     places, so that short and long texts are both learned. One label only: a net that always
-    answers it. No texts: ValueError.
+    answers it. No texts: a net without languages, for which every text is undetermined.
     """
     if not texts:
-        raise ValueError("no labelled text to learn a language from")
+        return ByteConvNet([], {2: np.zeros((2, SYMBOLS, 1), np.float32)}, np.zeros(1, np.float32), np.zeros((1, 0), np.float32), np.zeros(0, np.float32))
     rng = np.random.default_rng(seed)
     langs = sorted(set(labels))
     y_all = np.array([langs.index(x) for x in labels])
-    data = [SYMBOL[np.frombuffer(t.encode("utf-8", "surrogatepass")[: 1 << 16], dtype=np.uint8)] for t in texts]
+    data = [SYMBOL[np.frombuffer(t.encode("utf-8", "surrogatepass"), dtype=np.uint8)] for t in texts]
     by_lang = [np.flatnonzero(y_all == k) for k in range(len(langs))]
     widths = width_filters or {2: 24, 3: 40}
     total = sum(widths.values())
@@ -149,6 +149,8 @@ def predict(net: ByteConvNet, texts, tables: dict[int, np.ndarray] | None = None
     A text is cut into windows of WINDOW bytes, the last one padded; its probabilities are the
     mean over its windows, weighted by their letters. Null, empty or letterless: 'und' with 0.
     """
+    if not net.langs:
+        return [UNDETERMINED] * len(texts), np.zeros(len(texts))
     tables = tables or net.tables()
     raw = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) and _letter.search(t) else b"" for t in texts]
     counts = np.array([-(-len(r) // WINDOW) for r in raw], dtype=np.int64)
@@ -175,22 +177,25 @@ def predict(net: ByteConvNet, texts, tables: dict[int, np.ndarray] | None = None
 
 
 def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", condition: str | None = None, max_docs: int = MAX_TRAIN_DOCS) -> ByteConvNet:
-    """Learn from at most max_docs labelled rows that meet the SQL condition; their number does not grow with the table."""
+    """Learn from at most max_docs labelled documents that meet the SQL condition, each whole; their number does not grow with the table. Of rows that share an id the one with the smallest text counts."""
     known = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("y")).where("t is not null and y is not null and t rlike '\\\\p{L}'")
     if condition:
         known = known.where(condition.replace(id_col, "i"))
     rank = F.xxhash64("i")
     last = known.select(rank.alias("h")).orderBy("h").limit(max_docs).agg(F.max("h")).first()[0]  # hashes alone: texts of rows beyond the sample are never sent
     if last is None:
-        raise ValueError("no labelled text to learn a language from")
-    sample = known.where(rank <= last).select("i", F.substring("t", 1, MAX_TRAIN_CHARS).alias("t"), "y").limit(max_docs).toPandas().sort_values(["i", "t"])
+        return train([], [])
+    one = known.where(rank <= last).groupBy("i").agg(F.min(F.struct("t", "y")).alias("x"))
+    sample = one.orderBy(rank, "i").limit(max_docs).select("i", "x.t", "x.y").toPandas().sort_values(["i", "t"])
     return train(sample["t"].tolist(), sample["y"].astype(str).tolist())
 
 
 def identify(docs: DataFrame, net: ByteConvNet, *, text_col: str = "text") -> DataFrame:
     """Every row of docs with lang_pred and lang_score (existing columns of those names are replaced); whole texts, one narrow pass.
 
-    The text is handed to Python beside the row, so other columns pass through untouched.
+    The text is handed to Python beside the row, so other columns, whatever their names, pass
+    through untouched. Null, empty and letterless texts: 'und' with score 0; an empty table stays
+    empty; repeated rows are judged alike.
     """
     tables = net.tables()
     rest = docs.drop("lang_pred", "lang_score")
@@ -202,14 +207,21 @@ def identify(docs: DataFrame, net: ByteConvNet, *, text_col: str = "text") -> Da
             lang, score = predict(net, texts.tolist(), tables)
             yield pd.DataFrame({"lang": lang, "score": score})
 
-    out = rest.withColumn("__lid", judge(F.col(text_col)))
-    return out.select(*[F.col(f"`{c}`") for c in rest.columns], F.col("__lid.lang").alias("lang_pred"), F.col("__lid.score").alias("lang_score"))
+    lid = fresh(rest, "__lid")
+    out = rest.withColumn(lid, judge(F.col(text_col)))
+    return out.select(*[F.col(f"`{c}`") for c in rest.columns], F.col(f"{lid}.lang").alias("lang_pred"), F.col(f"{lid}.score").alias("lang_score"))
 
 
 def filter_stage(docs: DataFrame, net: ByteConvNet, min_score: float = 0.3) -> DataFrame:
-    """Documents in a recognised language; 'und' and texts of which no language reaches min_score go."""
-    judged = identify(docs, net)
-    return judged.where((F.col("lang_pred") != UNDETERMINED) & (F.col("lang_score") >= min_score)).select(*[F.col(f"`{c}`") for c in docs.columns])
+    """Documents in a recognised language, all their columns; 'und' and texts of which no language reaches min_score go. A net that has learned no language rejects nothing."""
+    if not net.langs:
+        return docs
+    own = docs
+    for name in ("lang_pred", "lang_score"):  # columns of these names are the documents' own here
+        if name in docs.columns:
+            own = own.withColumnRenamed(name, fresh(docs, f"__{name}"))
+    judged = identify(own, net).where((F.col("lang_pred") != UNDETERMINED) & (F.col("lang_score") >= min_score))
+    return judged.select(*[F.col(f"`{o}`").alias(c) for o, c in zip(own.columns, docs.columns, strict=True)])
 
 
 HELD_OUT = holdout("doc_id", 3, 1)
