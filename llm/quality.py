@@ -21,32 +21,43 @@ from llm.textkit import U64, PrefixHash, join_texts, mix64, text_batches, word_s
 BITS = 17
 DIM = 16
 NGRAMS = (3, 4)
-#: Labelled documents that training reads at most, chosen by a hash of their id, and characters of each.
+#: Labelled documents that training reads at most, whole, chosen by a hash of their id.
 MAX_TRAIN_DOCS = 6000
-MAX_TRAIN_CHARS = 20_000
 THRESHOLD = 0.3
 
 
 def features(texts) -> tuple[np.ndarray, np.ndarray]:
-    """Bucket numbers of all features of each text, text after text, and where each text's begin (one entry more)."""
+    """Bucket numbers of all features of each text, text after text, and where each text's begin (one entry more).
+
+    Features are the words and the character n-grams of words: runs of n characters that lie in a
+    word, which may take in the space before it or behind it.
+    """
     buf, offsets = join_texts(texts)
     starts, ends = word_spans(buf)
     mask = (1 << BITS) - 1
     words = (mix64(PrefixHash(buf).raw(starts, ends) + (ends - starts).astype(U64)) & U64(mask)).astype(np.int32)
-    x = buf.astype(np.uint32)
-    grams = []
+    kept = [t if isinstance(t, str) else "" for t in texts]
+    begin = np.zeros(len(kept) + 1, dtype=np.int64)
+    np.cumsum([len(t) + 1 for t in kept], out=begin[1:])
+    x = np.frombuffer("\n".join([*kept, ""]).encode("utf-32-le", "surrogatepass"), dtype="<u4")
+    space = (x == 32) | ((x >= 9) & (x <= 13))
+    grams, bounds = [], []
     for n in NGRAMS:
-        h = np.zeros(max(0, len(x) - n + 1), dtype=np.uint32)
+        size = max(0, len(x) - n + 1)
+        h, split = np.zeros(size, dtype=np.uint32), np.zeros(size, dtype=bool)
         for j in range(n):
-            h = h * np.uint32(0x01000193) ^ x[j : j + len(h)]
+            h = h * np.uint32(0x01000193) ^ x[j : j + size]
+            if 0 < j < n - 1:
+                split |= space[j : j + size]
         h ^= np.uint32(n * 0x9E3779B1 & 0xFFFFFFFF)
         h *= np.uint32(0x85EBCA6B)
-        grams.append((h >> np.uint32(32 - BITS)).astype(np.int32) + np.int32(1 << BITS))
+        at = np.flatnonzero(~split)
+        grams.append((h[at] >> np.uint32(32 - BITS)).astype(np.int32) + np.int32(1 << BITS))
+        bounds.append((np.searchsorted(at, begin[:-1]), np.searchsorted(at, np.maximum(begin[:-1], begin[1:] - n + 1))))
     cut = np.searchsorted(starts, offsets)
     parts, sizes = [], np.zeros(len(offsets), dtype=np.int64)
     for i in range(len(offsets) - 1):
-        a, b = int(offsets[i]), int(offsets[i + 1])
-        mine = [words[cut[i] : cut[i + 1]], *(g[a : max(a, b - n + 1)] for g, n in zip(grams, NGRAMS, strict=True))] if cut[i + 1] > cut[i] else []
+        mine = [words[cut[i] : cut[i + 1]], *(g[lo[i] : hi[i]] for g, (lo, hi) in zip(grams, bounds, strict=True))] if cut[i + 1] > cut[i] else []
         parts += mine
         sizes[i + 1] = sum(map(len, mine))
     return np.concatenate(parts) if parts else np.zeros(0, np.int32), np.cumsum(sizes)
@@ -113,16 +124,17 @@ def train(texts: list[str], labels: list[int], *, epochs: int = 6, lr: float = 0
 
 
 def fit(docs: DataFrame, labels: DataFrame, label_col: str, *, condition: str | None = None, max_docs: int = MAX_TRAIN_DOCS) -> SubwordModel:
-    """Learn from at most max_docs labelled documents that meet the SQL condition on doc_id.
+    """Learn from at most max_docs labelled documents that meet the SQL condition on doc_id, each whole.
 
-    The sample is taken from the labels first, so that only its own texts are joined and sent.
+    The sample is taken from the labels first, so that only its own texts are joined and sent. Of
+    rows that share an id the smallest text and the larger label count.
     """
     known = labels.select("doc_id", F.col(label_col).cast("int").alias("y")).where("y in (0, 1) and doc_id is not null")
     if condition:
         known = known.where(condition)
     known = known.groupBy("doc_id").agg(F.max("y").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_docs)
     rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(known), "doc_id")  # max_docs rows bound the broadcast
-    sample = rows.select("doc_id", F.substring("text", 1, MAX_TRAIN_CHARS).alias("text"), "y").limit(max_docs).toPandas().sort_values(["doc_id", "text"])
+    sample = rows.groupBy("doc_id", "y").agg(F.min("text").alias("text")).toPandas().sort_values(["doc_id", "text"])  # a row for each labelled document of the sample
     return train(sample["text"].tolist(), sample["y"].tolist())
 
 
