@@ -24,7 +24,6 @@ from llm.store import holdout
 
 THRESHOLD = 0.7
 MAX_TRAIN_DOCS = 6000
-MAX_TRAIN_CHARS = 20_000
 #: Words of context on either side of a hit.
 CONTEXT = 6
 #: States the automaton of one Python worker keeps; beyond that it starts anew.
@@ -36,6 +35,12 @@ SAYING = frozenset("said says saying called calls calling wrote writes quoted qu
 QUOTES = frozenset("\"“”„«»‹›‘’")
 
 
+def lowered(text: str) -> str:
+    """Lower case, character by character where a letter's lower case is longer than it (as of the dotted capital I), so that places stay."""
+    low = text.lower()
+    return low if len(low) == len(text) else "".join(x if len(x := c.lower()) == 1 else x[0] for c in text)
+
+
 @dataclass
 class Lexicon:
     """words: whole words, those of the stems' families too; stems: beginnings of words; clean: words near a term that are words of clean documents, and so no misspellings."""
@@ -66,7 +71,7 @@ def learn_lexicon(texts: list[str], labels: list[int], *, share: float = 0.01, p
     that are pure are terms as well, so that their misspellings are matched inside the stem too.
     """
     seen, n = (Counter(), Counter()), [0, 0]
-    tokens = [_token.findall(t.lower()) for t in texts]
+    tokens = [_token.findall(lowered(t)) for t in texts]
     for words, y in zip(tokens, labels, strict=True):
         n[y] += 1
         seen[y].update(set(words))
@@ -209,7 +214,7 @@ class Scanner:
 
     def hits(self, text: str) -> list[tuple[str, int, int, int, bool]]:
         """(word, start, end, edits, quoted) of every hit."""
-        low = text.lower() if len(text.lower()) == len(text) else text
+        low = lowered(text)
         words = _token.findall(low)
         if len(self.known) > MAX_STATES:
             self.known.clear()
@@ -298,7 +303,7 @@ def train(texts: list[str], labels: list[int], *, steps: int = 800, lr: float =
 
 
 def fit(docs: DataFrame, labels: DataFrame, label_col: str, *, condition: str | None = None, max_docs: int = MAX_TRAIN_DOCS) -> ToxicityModel:
-    """Learn from at most max_docs labelled documents that meet the SQL condition on doc_id; half of the places go to toxic ones, as far as there are any."""
+    """Learn from at most max_docs labelled documents that meet the SQL condition on doc_id, each whole; half of the places go to toxic ones, as far as there are any. Of rows that share an id the smallest text and the larger label count."""
     known = labels.select("doc_id", F.col(label_col).cast("int").alias("y")).where("y in (0, 1) and doc_id is not null")
     if condition:
         known = known.where(condition)
@@ -307,7 +312,7 @@ def fit(docs: DataFrame, labels: DataFrame, label_col: str, *, condition: str |
     bad = known.where("y = 1").orderBy(*order).limit(max_docs // 2)
     good = known.where("y = 0").orderBy(*order).limit(max_docs // 2)
     rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(bad.unionByName(good)), "doc_id")  # max_docs rows bound the broadcast
-    sample = rows.select("doc_id", F.substring("text", 1, MAX_TRAIN_CHARS).alias("text"), "y").limit(max_docs).toPandas().sort_values(["doc_id", "text"])
+    sample = rows.groupBy("doc_id", "y").agg(F.min("text").alias("text")).toPandas().sort_values(["doc_id", "text"])  # a row for each labelled document of the sample
     return train(sample["text"].tolist(), sample["y"].tolist())
 
 
