@@ -20,7 +20,7 @@ from llm.textkit import tidy
 
 #: Edits allowed for each character of a normalised item.
 ERROR_RATE = 0.08
-#: Items shorter than this, normalised, are too common to tell a leak from chance; they are left out.
+#: Items shorter than this, normalised, are too near to other texts to be matched with edits: they must stand there as they are, between word borders.
 MIN_ITEM_CHARS = 24
 #: Characters of benchmark text in one pass over the documents; a larger benchmark takes more passes.
 BLOCK_CHARS = 4_000_000
@@ -29,8 +29,8 @@ _gap = re.compile(r"[\W_]+")
 
 
 def normalise(text: str) -> str:
-    """Lower case, every run of other characters than letters and digits one space."""
-    return _gap.sub(" ", text.lower()).strip()
+    """Lower case, every run of other characters than letters and digits one space. Gaps are sought before letters are lowered, as in normalised_spans."""
+    return _gap.sub(" ", text).strip().lower()
 
 
 def normalised_spans(text: str) -> tuple[str, list[int]]:
@@ -90,13 +90,13 @@ class ItemIndex:
         pieces: dict[str, list[tuple[int, int]]] = {}
         for item_id, raw in items:
             text = normalise(raw or "")
-            if len(text) < min_chars:
+            if not text:
                 continue
-            budget = int(rate * len(text))
+            budget = int(rate * len(text)) if len(text) >= min_chars else -1  # -1: as it is, between word borders
             masks: dict[str, int] = {}
             for i, ch in enumerate(text):
                 masks[ch] = masks.get(ch, 0) | 1 << i
-            for offset, piece in split_pieces(text, budget):
+            for offset, piece in split_pieces(text, max(0, budget)):
                 pieces.setdefault(piece, []).append((len(self.items), offset))
             self.items.append((item_id, text, budget, masks))
         self.automaton = ahocorasick.Automaton()
@@ -118,6 +118,11 @@ class ItemIndex:
         out = []
         for k, starts in windows.items():
             item_id, item, budget, masks = self.items[k]
+            if budget < 0:
+                whole = [s for s in starts if (s == 0 or body[s - 1] == " ") and body[s + len(item) : s + len(item) + 1] in ("", " ")]
+                if whole:
+                    out.append((item_id, 0, *self._original(text, body, item, 0, min(whole) + len(item))))
+                continue
             best, a, b = None, None, None
             for s in sorted(set(starts)):
                 if a is not None and s - budget <= b:
