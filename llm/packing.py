@@ -2,9 +2,10 @@
 
 The lengths' histogram is all the planner sees. Lengths are grouped into classes of UNIT tokens;
 a configuration linear program (how often to use each multiset of classes that fits a sequence)
-is solved by multiplicative weights: classes that lag in coverage gain weight, and the next
-configuration is the heaviest one, found by a knapsack dynamic program over the capacity. The
-fractional solution is rounded down and what is left is placed by best fit with exact lengths.
+is solved by multiplicative weights: a configuration that is used makes its classes lighter, and
+the next one is the heaviest, found by a knapsack dynamic program over the capacity. The same
+weights give a dual bound. The fractional solution is rounded down and what is left, a number of
+pieces that does not grow with the corpus, is placed by best fit with exact lengths.
 The plan's size depends on the capacity alone, so it is safe to ship to every executor.
 """
 
@@ -156,15 +157,18 @@ def heaviest(weight: np.ndarray, limit: np.ndarray, units: int) -> np.ndarray:
     if not len(classes):
         return np.zeros(len(weight), dtype=np.int64)
     value = weight[classes]
-    best, take = np.zeros(units + 1), np.zeros(units + 1, dtype=np.int64)
+    best, take, sums = np.zeros(units + 1), [0] * (units + 1), np.empty(len(classes))
+    upto = np.searchsorted(classes, np.arange(units + 1), side="right").tolist()
     for c in range(1, units + 1):
-        k = np.searchsorted(classes, c, side="right")
-        best[c] = best[c - 1]
-        if k:
-            gain = value[:k] + best[c - classes[:k]]
-            j = int(gain.argmax())
-            if gain[j] > best[c]:
-                best[c], take[c] = gain[j], classes[j]
+        most = best[c - 1]
+        if k := upto[c]:
+            gain = sums[:k]
+            np.add(value[:k], best.take(c - classes[:k]), out=gain)
+            j = gain.argmax()
+            if gain[j] > most:
+                most = gain[j]
+                take[c] = int(classes[j])
+        best[c] = most
     out, c = np.zeros(len(weight), dtype=np.int64), units
     while c > 0:
         if take[c]:
@@ -175,27 +179,34 @@ def heaviest(weight: np.ndarray, limit: np.ndarray, units: int) -> np.ndarray:
     return np.minimum(out, limit)
 
 
-def configurations(counts: np.ndarray, units: int, *, eta: float = 1.0, rounds: int = 2000) -> list[tuple[np.ndarray, float]]:
-    """A fractional solution of the covering program: (configuration, times) whose sum covers counts.
+def configurations(counts: np.ndarray, units: int, *, eta: float = 2.0, step: float = 0.5) -> tuple[list[tuple[np.ndarray, float]], float]:
+    """A fractional solution of the covering program, and a lower bound of its value.
 
-    Each round uses up at least one class of the configuration it picks, so at most as many rounds
-    as classes are needed; `rounds` is far above that.
+    Solution: (configuration, times) whose sum covers counts exactly. Weights (the prices of the
+    classes) start at the classes' sizes. Each round prices out the heaviest configuration by
+    knapsack, takes it until some class of it has gained `step` of its count or is covered, and
+    multiplies the weight of what it covers by exp(-eta * share covered); covered classes weigh
+    nothing. A configuration that comes back adds to its times, so the solution is the average of
+    the rounds. Prices over the heaviest configuration's weight are a feasible dual solution of
+    every round; the best one is the bound. A round brings a class on by `step` or to its end, so
+    there are at most classes / step rounds.
     """
-    left, size = counts.astype(float), np.arange(len(counts), dtype=float)
-    out = []
-    for _ in range(rounds):
-        open_ = left > 1e-9
-        if not open_.any():
-            break
-        lag = np.where(counts > 0, left / np.maximum(counts, 1), 0.0)
-        weight = size * np.exp(eta * lag * size / units)  # a long class that lags is hardest to place late
+    n = counts.astype(float)
+    weight = np.where(counts > 0, np.arange(len(counts), dtype=float), 0.0)
+    left = n.copy()
+    times: dict[bytes, float] = {}
+    bound = 0.0
+    while (open_ := left > 0).any():
         a = heaviest(weight, np.where(open_, units, 0), units)
-        used = a > 0
-        times = float((left[used] / a[used]).min())
-        left[used] -= times * a[used]
-        left[left < 1e-9] = 0
-        out.append((a, times))
-    return out
+        bound = max(bound, float(weight @ n) / float(weight @ a))
+        used = np.flatnonzero(a)
+        t = float((np.minimum(step * n[used], left[used]) / a[used]).min())
+        times[a.tobytes()] = times.get(a.tobytes(), 0.0) + t
+        left[used] -= t * a[used]
+        left[left < 1e-9 * np.maximum(1, n)] = 0
+        weight[used] *= np.exp(-eta * t * a[used] / n[used])
+        weight[left == 0] = 0
+    return [(np.frombuffer(k, dtype=np.int64), t) for k, t in times.items()], bound
 
 
 @dataclass
@@ -205,6 +216,8 @@ class PackingPlan:
     runs[c]: rows (first item, items per sequence, first sequence, first slot) for the rounded
     configurations, sorted; rest_from[c]: the first item placed one by one; rest[c]: its rows
     (sequence, slot). base[length]: number of the first item of that length in its class.
+    lower_bound: no packing has fewer sequences, by tokens alone; program_bound: the dual bound of
+    the program on the classes, whose lengths are rounded up.
     """
 
     runs: dict[int, np.ndarray]
@@ -213,6 +226,12 @@ class PackingPlan:
     base: np.ndarray
     sequences: int
     lower_bound: int
+    program_bound: float
+
+    @property
+    def gap(self) -> float:
+        """Sequences above the token bound, as a share of it."""
+        return self.sequences / self.lower_bound - 1 if self.lower_bound else 0.0
 
 
 def class_of(length, unit: int = UNIT):
@@ -236,7 +255,8 @@ def plan(histogram: dict[int, int], *, capacity: int = CAPACITY, unit: int = UNI
     used = np.zeros(units + 1, dtype=np.int64)
     runs: dict[int, list] = {}
     seq = 0
-    for a, times in configurations(counts, units):
+    solution, program_bound = configurations(counts, units)
+    for a, times in sorted(solution, key=lambda x: -x[1]):
         t = int(times + 1e-9)
         if not t:
             continue
@@ -266,7 +286,7 @@ def plan(histogram: dict[int, int], *, capacity: int = CAPACITY, unit: int = UNI
         if free > length:
             insort(room, (free - length, s))
     total = int((hist * lengths).sum())
-    return PackingPlan({c: np.array(r, dtype=np.int64) for c, r in runs.items()}, used, {c: np.array(r, dtype=np.int64).reshape(-1, 2) for c, r in rest.items()}, base, seq, -(-total // capacity))
+    return PackingPlan({c: np.array(r, dtype=np.int64) for c, r in runs.items()}, used, {c: np.array(r, dtype=np.int64).reshape(-1, 2) for c, r in rest.items()}, base, seq, -(-total // capacity), program_bound)
 
 
 def place(p: PackingPlan, length: np.ndarray, rank: np.ndarray, unit: int = UNIT) -> tuple[np.ndarray, np.ndarray]:
@@ -293,10 +313,13 @@ def pack(parts: DataFrame, *, capacity: int = CAPACITY, unit: int = UNIT) -> Dat
 
     Two passes over small rows: the histogram (at most `capacity` rows reach the driver), then the
     placement. Rows are numbered within (file, length), so a length that a third of all rows
-    share is still numbered by as many tasks as there are files. Empty table: empty result.
+    share is still numbered by as many tasks as there are files. Empty table: empty result. Equal
+    rows are packed once each. Old columns sequence_id and offset are replaced; others pass.
     """
-    spark, cols = parts.sparkSession, parts.columns
-    stored = keep(parts, workspace(spark, "pieces")).select("*", F.col("_metadata.file_path").alias("__file"), F.col("_metadata.row_index").alias("__row"))
+    spark, cols = parts.sparkSession, [c for c in parts.columns if c.lower() not in ("sequence_id", "offset")]
+    parts = parts.select(*[F.col(f"`{c}`") for c in cols])
+    stored = keep(parts, workspace(spark, "pieces"))
+    stored = stored.select("*", stored.metadataColumn("_metadata").getField("file_path").alias("__file"), stored.metadataColumn("_metadata").getField("row_index").alias("__row"))
     per_file = stored.groupBy("__file", "length").agg(F.count("*").alias("__n"))
     histogram = {r[0]: r[1] for r in stored.groupBy("length").count().collect()}  # at most `capacity` rows
     p = plan(histogram, capacity=capacity, unit=unit)
