@@ -8,6 +8,10 @@ a bounded number of nodes wide, until their lists stop changing.
 
 Equal vectors are one node, so a vector that very many rows share is no hub. Inner products are
 turned into distances by one more coordinate that gives all nodes the same norm.
+
+A cell that is too large for a task is dealt into slices by the order of its vectors along a
+random direction, another one for each set of pivots, so that near vectors meet in some slice;
+what the cells have missed, the rounds find.
 """
 
 from __future__ import annotations
@@ -28,9 +32,13 @@ CELL, CELL_MAX = 1500, 5000
 #: Cells a node belongs to, and sets of pivots. Pivots are MAX_PIVOTS at most.
 OVERLAP, PIVOT_SETS, MAX_PIVOTS = 3, 4, 4096
 #: Neighbours of each direction that a round of NN-descent brings together at a node.
-FORWARD, REVERSE, ROUNDS = 8, 6, 2
+FORWARD, REVERSE = 8, 6
+#: Rounds go on as long as they change more than this share of all list entries.
+SETTLED = 0.01
+#: Quantiles that cut a large cell into slices.
+SLICES = 256
 #: Width of a query's list, nodes it expands in a round, and neighbours it looks at of each.
-BEAM, EXPAND, LOOK, MAX_STEPS = 48, 12, 16, 3
+BEAM, EXPAND, LOOK = 48, 12, 16
 
 LIST = "array<struct<sim:float,id:long>>"
 
@@ -78,15 +86,25 @@ def cell_graph(nodes: DataFrame, count: int, top: float, degree: int = DEGREE) -
     for s in range(sets):  # MAX_PIVOTS vectors at most
         pivots.append(lift(_matrix(nodes.orderBy(F.xxhash64("id", F.lit(s)), "id").limit(cells).select("v").toPandas()["v"]), top))
 
-    @F.pandas_udf("array<long>")
-    def cells_of(v: pd.Series) -> pd.Series:
-        x = lift(_matrix(v), top)
-        own = [(_best(x @ p.T, overlap) + s * cells) for s, p in enumerate(pivots)] if len(x) else []
-        return pd.Series(list(np.concatenate(own, axis=1).astype(np.int64))) if own else pd.Series([], dtype=object)
+    ways = np.random.default_rng(29).normal(size=(sets, pivots[0].shape[1]))
 
-    placed = nodes.select("id", "v", F.explode(cells_of("v")).alias("cell"))
-    sizes = placed.groupBy("cell").agg(F.count("*").alias("n")).where(F.col("n") > CELL_MAX).select("cell", F.ceil(F.col("n") / CELL_MAX).cast("int").alias("parts"))
-    placed = placed.join(sizes, "cell", "left").withColumn("part", F.pmod(F.xxhash64("id", "cell"), F.coalesce("parts", F.lit(1))))
+    @F.pandas_udf("array<struct<cell:long,along:float>>")
+    def cells_of(v: pd.Series) -> pd.Series:
+        if not len(v):
+            return pd.Series([], dtype=object)
+        x, out = lift(_matrix(v), top), [[] for _ in range(len(v))]
+        for s, p in enumerate(pivots):
+            along = (x @ ways[s]).tolist()
+            for i, own in enumerate((_best(x @ p.T, overlap) + s * cells).tolist()):
+                out[i] += [{"cell": c, "along": along[i]} for c in own]
+        return pd.Series(out)
+
+    placed = nodes.select("id", "v", F.explode(cells_of("v")).alias("c")).select("id", "v", "c.cell", "c.along")
+    large = placed.groupBy("cell").agg(F.count("*").alias("n"), F.percentile_approx("along", [k / SLICES for k in range(1, SLICES)], 10_000).alias("cuts")).where(F.col("n") > CELL_MAX)
+    # as many slices as needed, each some neighbouring quantiles; a cell of more than SLICES * CELL_MAX is dealt further by hash
+    large = large.select("cell", F.least(F.lit(SLICES), F.ceil(F.col("n") / CELL_MAX)).cast("int").alias("slices"), F.ceil(F.col("n") / (SLICES * CELL_MAX)).cast("int").alias("dealt"), "cuts")
+    at = F.size(F.filter("cuts", lambda q: q < F.col("along")))
+    placed = placed.join(large, "cell", "left").withColumn("part", F.coalesce(F.floor(at * F.col("slices") / SLICES) * F.col("dealt") + F.pmod(F.xxhash64("id", "cell"), F.col("dealt")), F.lit(0)).cast("int")).drop("slices", "dealt", "cuts", "along")
 
     def compare(df: pd.DataFrame) -> pd.DataFrame:
         ids, x = df["id"].to_numpy(), lift(_matrix(df["v"]), top)
@@ -136,23 +154,29 @@ def descend(nodes: DataFrame, graph: DataFrame, top: float, degree: int = DEGREE
     return merge_lists(graph.unionByName(found), degree)
 
 
-def build_graph(nodes: DataFrame, path: str, *, degree: int = DEGREE, rounds: int = ROUNDS) -> tuple[DataFrame, float]:
-    """The neighbour graph and the common norm; every round is written to the shared folder."""
+def build_graph(nodes: DataFrame, path: str, *, degree: int = DEGREE, settled: float = SETTLED) -> tuple[DataFrame, float]:
+    """The neighbour graph and the common norm; every round is written to the shared folder. Lists only get better, so the rounds come to an end."""
     spark = nodes.sparkSession
     stats = nodes.agg(F.count("*").alias("n"), F.max(F.expr("sqrt(aggregate(v, 0D, (s, x) -> s + x * x))")).alias("top")).first()
     top = float(stats["top"] or 1.0)
     graph = keep(merge_lists(cell_graph(nodes, stats["n"], top, degree), degree), f"{path}/graph0")
     release(spark)
-    if stats["n"] > CELL_MAX // 2:  # else the one cell has compared all pairs
-        for r in range(1, rounds + 1):
-            graph = keep(descend(nodes, graph, top, degree), f"{path}/graph{r}")
-            drop(spark, f"{path}/graph{r - 1}")
-            release(spark)
+    turn = 0
+    while True:
+        turn += 1
+        after = keep(descend(nodes, graph, top, degree), f"{path}/graph{turn}")
+        old = graph.select("id", F.col("near.id").alias("was"))
+        moved = after.join(old, "id", "left").agg(F.sum(F.size(F.array_except("near.id", F.coalesce("was", F.array().cast("array<long>"))))).alias("new"), F.sum(F.size("near")).alias("all")).first()
+        drop(spark, f"{path}/graph{turn - 1}")
+        release(spark)
+        graph = after
+        if (moved["new"] or 0) <= settled * (moved["all"] or 0):
+            break
     return graph, top
 
 
 def search(nodes: DataFrame, graph: DataFrame, starts: DataFrame, path: str, *, beam: int = BEAM) -> DataFrame:
-    """(id, near) for the nodes in starts (id): greedy search from their own lists, by plain inner product."""
+    """(id, near) for the nodes in starts (id): greedy search from their own lists, by plain inner product, until the first twenty of every list stay as they are."""
     spark = nodes.sparkSession
     dot = "cast(aggregate(zip_with({0}, {1}, (x, y) -> x * y), 0D, (s, x) -> s + x) as float)"
     me = nodes.join(starts, "id", "left_semi").select(F.col("id").alias("q"), F.col("v").alias("qv"))
@@ -165,7 +189,9 @@ def search(nodes: DataFrame, graph: DataFrame, starts: DataFrame, path: str, *,
     best = f"slice(sort_array(array_distinct(collect_list(c)), false), 1, {beam})"
     state = rated(seeds).groupBy("q").agg(F.expr(best).alias("near")).withColumn("done", F.array().cast("array<long>"))
     state = keep(state, f"{path}/step0")
-    for step in range(1, MAX_STEPS + 1):
+    step = 0
+    while True:  # ends: every node that stands among the best is looked at once
+        step += 1
         # the nearest nodes whose neighbours have not been looked at
         todo = state.withColumn("next", F.expr(f"slice(array_except(transform(slice(near, 1, {2 * EXPAND}), x -> x.id), done), 1, {EXPAND})"))
         ring = todo.select("q", F.explode("next").alias("node")).join(graph.select(F.col("id").alias("node"), F.slice(F.col("near.id"), 1, LOOK).alias("out")), "node")
