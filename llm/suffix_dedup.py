@@ -11,7 +11,10 @@ two suffixes takes a logarithmic number of steps. Neighbours in that order give
 extensions to the right, hashes of the bytes before the anchor those to the left; what they call
 equal is verified byte by byte.
 
-An anchor that very many places share is not gathered in a task: its windows are counted by hash.
+Places whose whole contexts are equal need no sort: a context is named by 128 bits of a
+cryptographic digest of its bytes, and one that occurs twice repeats as a whole. An anchor that
+very many different contexts share is not gathered in a task: its windows are counted by two
+64-bit hashes.
 """
 
 from __future__ import annotations
@@ -25,7 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from llm.store import drop, keep, release, table, workspace
+from llm.store import drop, fresh, keep, release, table, workspace
 from llm.textkit import U64, PrefixHash, mix64, tidy
 
 LENGTH = 200
@@ -51,14 +54,15 @@ def _sliding(x: np.ndarray, w: int, op) -> np.ndarray:
 def anchors(buf: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Anchors of the texts buf[offsets[i]:offsets[i+1]]; texts under `length` bytes have none.
 
-    Returns their places in buf, gram hashes, the hashes of their contexts (up to length - gram
-    bytes before the place, up to length from it on), and the two reaches of these contexts.
+    Returns their places in buf, gram hashes, digests of their contexts (up to length - gram bytes
+    before the place, up to length from it on; 128 bits as two numbers), and the two reaches of
+    these contexts.
     """
     span = length - gram + 1
     n = len(buf) - gram + 1
     none = np.zeros(0, np.int64)
     if n < span:
-        return none, none.astype(U64), none.astype(U64), none, none
+        return none, none.astype(U64), none.reshape(0, 1).repeat(2, axis=1), none, none
     at = np.arange(n)
     sums = PrefixHash(buf)
     h = mix64(sums.raw(at, at + gram)) | U64(1)
@@ -72,8 +76,9 @@ def anchors(buf: np.ndarray, offsets: np.ndarray, length: int = LENGTH, gram: in
     place = np.flatnonzero((h == high) & (left >= gram))
     first = np.repeat(offsets[:-1], size)[place]
     reach, ahead = np.minimum(place - first, span - 1), np.minimum(left[place], length)
-    cx = mix64(sums.raw(place - reach, place + ahead) ^ mix64((reach * 1024 + ahead).astype(U64)))
-    return place, h[place], cx, reach, ahead
+    raw, digest = memoryview(buf), hashlib.blake2b
+    names = b"".join([digest(raw[a:b], digest_size=16, salt=c.to_bytes(2)).digest() for a, b, c in zip((place - reach).tolist(), (place + ahead).tolist(), reach.tolist(), strict=True)])
+    return place, h[place], np.frombuffer(names, dtype="<i8").reshape(-1, 2), reach, ahead
 
 
 def _raw(text) -> bytes:
@@ -92,7 +97,7 @@ def _batches(raw: list[bytes]):
 
 
 def find_anchors(keyed: DataFrame) -> DataFrame:
-    """(k1, k2, pos, reach, ahead, h, cx) for each anchor of each text."""
+    """(k1, k2, pos, reach, ahead, h, cx, cy) for each anchor of each text."""
 
     @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -102,9 +107,9 @@ def find_anchors(keyed: DataFrame) -> DataFrame:
                 offsets = np.concatenate(([0], np.cumsum([len(r) for r in raw[a:b]])))
                 place, h, cx, reach, ahead = anchors(np.frombuffer(b"".join(raw[a:b]), dtype=np.uint8), offsets)
                 who = np.searchsorted(offsets, place, side="right") - 1
-                yield pd.DataFrame({"k1": k1[a:b][who], "k2": k2[a:b][who], "pos": (place - offsets[who]).astype(np.int32), "reach": reach.astype(np.int16), "ahead": ahead.astype(np.int16), "h": h.view(np.int64), "cx": cx.view(np.int64)})
+                yield pd.DataFrame({"k1": k1[a:b][who], "k2": k2[a:b][who], "pos": (place - offsets[who]).astype(np.int32), "reach": reach.astype(np.int16), "ahead": ahead.astype(np.int16), "h": h.view(np.int64), "cx": cx[:, 0], "cy": cx[:, 1]})
 
-    return keyed.where(f"octet_length(text) >= {LENGTH}").select("k1", "k2", "text").mapInPandas(run, "k1 long, k2 long, pos int, reach short, ahead short, h long, cx long")
+    return keyed.where(f"octet_length(text) >= {LENGTH}").select("k1", "k2", "text").mapInPandas(run, "k1 long, k2 long, pos int, reach short, ahead short, h long, cx long, cy long")
 
 
 CONTEXT = "h long, hot boolean, k1 long, k2 long, pos int, reach int, around binary"
@@ -334,9 +339,9 @@ def count_windows(found: DataFrame) -> DataFrame:
     return windows.join(again, ["w1", "w2"]).select("k1", "k2", "start", (F.col("start") + LENGTH).alias("stop"))
 
 
-def _keyed(docs: DataFrame) -> DataFrame:
+def _keyed(docs: DataFrame, k1: str = "k1", k2: str = "k2") -> DataFrame:
     """Two hashes that name a row by its id and text; equal rows share them, which does no harm."""
-    return docs.withColumn("k1", F.xxhash64("doc_id", "text")).withColumn("k2", F.xxhash64(F.lit(7), "text", "doc_id"))
+    return docs.withColumn(k1, F.xxhash64("doc_id", "text")).withColumn(k2, F.xxhash64(F.lit(7), "text", "doc_id"))
 
 
 def repeated_spans(docs: DataFrame, path: str) -> DataFrame:
@@ -344,17 +349,19 @@ def repeated_spans(docs: DataFrame, path: str) -> DataFrame:
     spark = docs.sparkSession
     keyed = _keyed(docs.select("doc_id", "text"))
     found = keep(find_anchors(keyed), f"{path}/anchors")
-    often = found.groupBy("h").agg(F.count("*").alias("n"), (F.min("cx") != F.max("cx")).alias("mixed")).where("n > 1").select("h", "mixed")
+    # tables by key are written before they are joined: both sides of the join are then plain shuffles, and a hot key is split
+    name = F.struct("cx", "cy")
+    often = keep(found.groupBy("h").agg(F.count("*").alias("n"), (F.min(name) != F.max(name)).alias("mixed")).where("n > 1").select("h", "mixed"), f"{path}/often")
     shared = keep(found.join(often, "h"), f"{path}/shared")
     drop(spark, f"{path}/anchors")
     release(spark)
     # a context that occurs twice repeats as a whole, and only its first place is compared further
     place = F.struct("k1", "k2", "pos")
-    times = shared.where("mixed").groupBy("h", "cx").agg(F.count("*").alias("times"), F.min(place).alias("first"))
-    rated = keep(shared.where("mixed").join(times, ["h", "cx"]).withColumn("sent", place == F.col("first")).drop("first"), f"{path}/rated")
+    times = keep(shared.where("mixed").groupBy("h", "cx", "cy").agg(F.count("*").alias("times"), F.min(place).alias("first")), f"{path}/times")
+    rated = keep(shared.where("mixed").join(times, ["h", "cx", "cy"]).withColumn("sent", place == F.col("first")).drop("first"), f"{path}/rated")
     whole = shared.where("not mixed").select("k1", "k2", "pos", "reach", "ahead").unionByName(rated.where("times > 1").select("k1", "k2", "pos", "reach", "ahead"))
     whole = whole.select("k1", "k2", (F.col("pos") - F.col("reach")).cast("int").alias("start"), (F.col("pos") + F.col("ahead")).cast("int").alias("stop")).where(F.col("stop") - F.col("start") >= LENGTH)
-    crowds = rated.where("sent").groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") > HOT).select("h", F.lit(True).alias("hot"))
+    crowds = keep(rated.where("sent").groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") > HOT).select("h", F.lit(True).alias("hot")), f"{path}/crowds")
     sent = rated.where("sent").join(crowds, "h", "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
     marks = keep(sent.groupBy("k1", "k2").agg(F.collect_set(F.struct("pos", "h", "hot")).alias("marks")), f"{path}/marks")
     release(spark)
@@ -366,7 +373,7 @@ def repeated_spans(docs: DataFrame, path: str) -> DataFrame:
     release(spark)
     spans = reduce(DataFrame.unionByName, compared, whole)
     out = keep(spans.groupBy("k1", "k2").agg(F.collect_set(F.struct("start", "stop")).alias("spans")), f"{path}/spans")
-    drop(spark, *(f"{path}/{t}" for t in ("shared", "rated", "marks", "part0", "part1")))
+    drop(spark, *(f"{path}/{t}" for t in ("often", "shared", "times", "rated", "crowds", "marks", "part0", "part1")))
     release(spark)
     return out
 
@@ -390,10 +397,11 @@ def cut(raw: bytes, runs: list[tuple[int, int]]) -> bytes:
     return b"".join([*kept, raw[at:]])
 
 
-def with_spans(docs: DataFrame, path: str | None = None) -> DataFrame:
-    """Every row of docs with __spans (null where nothing repeats). Null texts count as empty."""
+def with_spans(docs: DataFrame, path: str | None = None, out: str = "__spans") -> DataFrame:
+    """Every row of docs with its spans in column `out` (null where nothing repeats). Null texts count as empty; other columns of docs may have any names but `out`."""
     spans = repeated_spans(docs, path or workspace(docs.sparkSession, "suffix"))
-    return _keyed(docs).join(spans.withColumnRenamed("spans", "__spans"), ["k1", "k2"], "left").drop("k1", "k2")
+    k1, k2 = fresh(docs, "__k1"), fresh(docs, "__k2")
+    return _keyed(docs, k1, k2).join(spans.select(F.col("k1").alias(k1), F.col("k2").alias(k2), F.col("spans").alias(out)), [k1, k2], "left").drop(k1, k2)
 
 
 def measure(docs: DataFrame) -> DataFrame:
@@ -422,7 +430,8 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
         for texts, spans in batches:
             yield pd.Series([cut(_raw(t), merge(s)).decode("utf-8", "ignore") if s is not None else t for t, s in zip(texts, spans, strict=True)])
 
-    out = with_spans(docs).withColumn("text", strip("text", "__spans")).drop("__spans")
+    spans = fresh(docs, "__spans")
+    out = with_spans(docs, out=spans).withColumn("text", strip("text", spans)).drop(spans)
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.coalesce(F.length("text").cast(docs.schema["n_chars"].dataType), "n_chars"))
     return out.select(*[F.col(f"`{c}`") for c in docs.columns])
