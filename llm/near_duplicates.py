@@ -9,7 +9,8 @@ link is confirmed on the full shingle sets.
 Documents with equal sets are one class from the start, so the largest groups of copies cost one
 row each. Inside a band's bucket no pairs are listed: every class is compared with the bucket's
 centre, and only buckets that still hold more than one component afterwards are searched fully,
-in blocks of bounded size, for links between components.
+in blocks of bounded size, for links between components: by registers first, and then, for the
+rows that these leave, on the full sets.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from llm.store import drop, keep, release, table, workspace
+from llm.store import drop, fresh, keep, release, table, workspace
 from llm.textkit import U64, mix64, shingle_hashes, text_batches, tidy
 
 BUCKET_BITS = 7
@@ -194,18 +195,8 @@ def search_block(ids: np.ndarray, comps: np.ndarray, sets: list[np.ndarray], sid
     return out
 
 
-def joining_links(members: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
-    """Links between different components inside the blocks. Rows (block, side, id, comp, text) are dealt and sorted by block; a block is at most 2 * BLOCK rows."""
-
-    def flush(df: pd.DataFrame) -> list[tuple[int, int]]:
-        df = df.drop_duplicates("id")
-        comps = df["comp"].to_numpy()
-        if (comps == comps[0]).all():
-            return []
-        side = df["side"].to_numpy()
-        texts = df["text"].tolist()
-        sets = [s for part in text_batches(texts) for s in shingle_hashes(texts[part])]
-        return search_block(df["id"].to_numpy(), comps, sets, side if side.max() else None, percent)
+def _by_block(members: DataFrame, judge, schema: str) -> DataFrame:
+    """judge(rows of one block) for every block; rows are dealt and sorted by block, and a block is at most 2 * BLOCK rows."""
 
     @tidy
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -213,20 +204,58 @@ def joining_links(members: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
         for df in batches:
             if not len(df):
                 continue
-            out = []
             block = df["block"].to_numpy()
             cut = [0, *(np.flatnonzero(block[1:] != block[:-1]) + 1).tolist(), len(df)]
             for a, b in zip(cut, cut[1:], strict=False):
                 part = df.iloc[a:b]
                 if held and held[0]["block"].iloc[0] != part["block"].iloc[0]:
-                    out += flush(pd.concat(held))
+                    yield judge(pd.concat(held).drop_duplicates("id"))
                     held = []
                 held.append(part)
-            yield pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
         if held:
-            yield pd.DataFrame(flush(pd.concat(held)), columns=["a", "b"], dtype=np.int64)
+            yield judge(pd.concat(held).drop_duplicates("id"))
+
+    return members.repartition("block").sortWithinPartitions("block", "id").mapInPandas(run, schema)
+
+
+def promising(regs: np.ndarray, comps: np.ndarray, side: np.ndarray | None, percent: int = LINK_PERCENT, rows: int = 64) -> np.ndarray:
+    """Which rows have a partner in another component (and on the other side) whose estimate allows a link."""
+    n, found = len(regs), np.zeros(len(regs), dtype=bool)
+    for a in range(0, n, rows):
+        near = estimate(regs[a : a + rows, None, :], regs[None, :, :]) >= percent / 100 - ESTIMATE_SLACK
+        near &= comps[a : a + rows, None] != comps[None, :]
+        if side is not None:
+            near &= side[a : a + rows, None] != side[None, :]
+        found[a : a + rows] |= near.any(axis=1)
+        found |= near.any(axis=0)
+    return found
+
+
+def candidates_in_blocks(members: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
+    """Of the rows (block, side, id, comp, regs) those that may have a link into another component of their block, by the estimates from registers alone; texts are fetched for them only."""
+
+    def judge(df: pd.DataFrame) -> pd.DataFrame:
+        comps, side = df["comp"].to_numpy(), df["side"].to_numpy()
+        keep = np.zeros(len(df), dtype=bool)
+        if not (comps == comps[0]).all():
+            keep = promising(np.frombuffer(b"".join(df["regs"]), dtype="<u2").reshape(-1, BUCKETS), comps, side if side.max() else None, percent)
+        return df.loc[keep, ["block", "side", "id", "comp"]]
+
+    return _by_block(members, judge, "block long, side int, id long, comp long")
+
+
+def joining_links(members: DataFrame, percent: int = LINK_PERCENT) -> DataFrame:
+    """Links between different components inside the blocks, of rows (block, side, id, comp, text)."""
+
+    def judge(df: pd.DataFrame) -> pd.DataFrame:
+        comps, side, out = df["comp"].to_numpy(), df["side"].to_numpy(), []
+        if not (comps == comps[0]).all():
+            texts = df["text"].tolist()
+            sets = [s for part in text_batches(texts) for s in shingle_hashes(texts[part])]
+            out = search_block(df["id"].to_numpy(), comps, sets, side if side.max() else None, percent)
+        return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
 
-    return members.repartition("block").sortWithinPartitions("block", "id").mapInPandas(run, "a long, b long")
+    return _by_block(members, judge, "a long, b long")
 
 
 def components(links: DataFrame, path: str) -> DataFrame:
@@ -298,8 +327,9 @@ def group(docs: DataFrame, *, percent: int = LINK_PERCENT, folder: str | None =
     # every two parts of a bucket meet in one block; a part with itself too
     blocks = blocks.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     blocks = blocks.select(F.xxhash64("key", F.least("part", "other"), F.greatest("part", "other")).alias("block"), F.when(F.col("part") < F.col("other"), 1).when(F.col("part") > F.col("other"), 2).otherwise(0).alias("side"), "id", "comp")
-    more = keep(joining_links(blocks.join(texts.select("id", "text"), "id"), percent), f"{path}/links2")
-    drop(spark, f"{path}/crowded", f"{path}/texts")
+    rated = keep(candidates_in_blocks(blocks.join(texts.select("id", "regs"), "id"), percent), f"{path}/rated")
+    more = keep(joining_links(rated.join(texts.select("id", "text"), "id"), percent), f"{path}/links2")
+    drop(spark, f"{path}/crowded", f"{path}/texts", f"{path}/rated")
     release(spark)
     final = components(links.unionByName(more), f"{path}/comp2")
     of_class = keep(classes.select("fp", "id").join(final, "id", "left").select("fp", F.coalesce("comp", "id").alias("component")), f"{path}/of_class")
@@ -309,11 +339,12 @@ def group(docs: DataFrame, *, percent: int = LINK_PERCENT, folder: str | None =
 
 
 def keep_one_of_each(docs: DataFrame, *, percent: int = LINK_PERCENT) -> DataFrame:
-    """The document with the smallest doc_id of each group, once; documents without an id stay as they are."""
+    """The document with the smallest doc_id of each group, once; documents without an id stay as they are. Any other columns pass through."""
     kept = group(docs, percent=percent).where("kept").select("doc_id").distinct()
     rest = docs.where("doc_id is null")
     w = Window.partitionBy("doc_id").orderBy(F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns]))
-    first = docs.join(kept, "doc_id", "left_semi").withColumn("__copy", F.row_number().over(w)).where("__copy = 1").drop("__copy")
+    copy = fresh(docs, "__copy")
+    first = docs.join(kept, "doc_id", "left_semi").withColumn(copy, F.row_number().over(w)).where(F.col(copy) == 1).drop(copy)
     return first.unionByName(rest)
 
 
