@@ -2,8 +2,9 @@
 
 Arrivals are appended as small immutable shards. Shards of similar size are merged, a handful at
 a time, until they reach a target size. What the store holds is said by the newest manifest
-alone; a manifest is written aside and renamed into place, so that a reader sees all of a
-change or none, and of two writers of the same version one fails.
+alone; a manifest is one file that is written aside and put into place in one step that fails
+where the place is taken. A reader sees all of a change or none; of two writers of the same
+version one fails, reads the newer manifest and applies its change to that.
 """
 
 from __future__ import annotations
@@ -12,6 +13,7 @@ import json
 from dataclasses import asdict, dataclass, replace
 from functools import reduce
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -41,6 +43,10 @@ class VersionTaken(Exception):
     """Another writer has committed this version."""
 
 
+class ShardsGone(Exception):
+    """Another writer has merged these shards already."""
+
+
 def plan_merges(shards, target: int = TARGET_BYTES, fan_in: int = FAN_IN, final: bool = False) -> list[list[Shard]]:
     """Groups of similarly sized shards to merge: from the smallest, neighbours within a factor of fan_in whose sum stays within the target.
 
@@ -78,18 +84,42 @@ class ShardStore:
         version = (known[-1] if known else 0) if version is None else version
         if version == 0:
             return Manifest(0, ())
-        rows = self.spark.read.text(f"{self.root}/manifests/v{version}").collect()  # a line for each shard
+        rows = self.spark.read.text(f"{self.root}/manifests/v{version}").collect()  # one file, a line for each shard
         return Manifest(version, tuple(sorted((Shard(**json.loads(r[0])) for r in rows if r[0]), key=lambda s: s.path)))
 
     def commit(self, m: Manifest) -> Manifest:
-        """Write the manifest aside and rename it into place."""
-        aside, place = f"{self.root}/manifests/.aside-v{m.version}-{self.spark._jvm.java.util.UUID.randomUUID()}", f"{self.root}/manifests/v{m.version}"
-        self.spark.createDataFrame([(json.dumps(asdict(s)),) for s in m.shards] or [("",)], "value string").coalesce(1).write.text(aside)
-        if self._fs.exists(self._path(place)) or not self._fs.rename(self._path(aside), self._path(place)):
-            self._fs.delete(self._path(aside), True)
-            raise VersionTaken(m.version)
+        """Write the manifest aside as one file and put it into place, unless the version exists."""
+        jvm = self.spark._jvm
+        aside, place = f"{self.root}/manifests/.aside-v{m.version}-{jvm.java.util.UUID.randomUUID()}", f"{self.root}/manifests/v{m.version}"
+        out = self._fs.create(self._path(aside), True)
+        out.write(bytearray("\n".join(json.dumps(asdict(s)) for s in m.shards).encode()))
+        out.close()
+        try:
+            if self._fs.getScheme() == "file":
+                # a rename on a local disk replaces what is there; a second name for the file does not
+                paths = [jvm.java.io.File(self._path(p).toUri().getPath()).toPath() for p in (place, aside)]
+                jvm.java.nio.file.Files.createLink(*paths)
+            else:
+                options = jvm.java.lang.reflect.Array.newInstance(jvm.java.lang.Class.forName("org.apache.hadoop.fs.Options$Rename"), 1)
+                options[0] = getattr(jvm.org.apache.hadoop.fs, "Options$Rename").NONE
+                jvm.org.apache.hadoop.fs.FileContext.getFileContext(self._path(place).toUri(), self.spark._jsc.hadoopConfiguration()).rename(self._path(aside), self._path(place), options)
+        except Py4JJavaError as e:
+            if not self._fs.exists(self._path(place)):
+                raise
+            raise VersionTaken(m.version) from e
+        finally:
+            self._fs.delete(self._path(aside), False)
         return m
 
+    def change(self, shards_after) -> Manifest:
+        """Commit shards_after(shards of the newest version), again from the start whenever another writer was quicker."""
+        while True:
+            now = self.manifest()
+            try:
+                return self.commit(Manifest(now.version + 1, tuple(shards_after(now.shards))))
+            except VersionTaken:
+                continue
+
     # shards
 
     def _written(self, folder: str, schema, tier: int) -> list[Shard]:
@@ -104,26 +134,42 @@ class ShardStore:
 
     def append(self, arrivals: DataFrame) -> Manifest:
         """Each partition of the arrivals becomes one small shard; nothing is shuffled. No rows: a new version with the same shards."""
-        now, folder = self.manifest(), self._folder()
+        folder = self._folder()
         arrivals.write.parquet(folder)
-        return self.commit(Manifest(now.version + 1, (*now.shards, *self._written(folder, arrivals.schema, 0))))
+        added = self._written(folder, arrivals.schema, 0)
+        return self.change(lambda shards: (*shards, *added))
 
     def merge(self, groups: list[list[Shard]], schema) -> Manifest:
-        """Replace each group by one file. A task reads the shards of its group one after the other; no shuffle."""
-        now, made = self.manifest(), []
+        """Replace each group by one file. A task reads the shards of its group one after the other; no shuffle. ShardsGone, and nothing changed, where another writer has merged any of them."""
+        made, folders = [], []
         for a in range(0, len(groups), MERGES_PER_JOB):
             part, folder = groups[a : a + MERGES_PER_JOB], self._folder()
+            folders.append(folder)
             runs = [self.spark.read.schema(schema).parquet(*(s.path for s in g)).coalesce(1) for g in part]
             reduce(DataFrame.union, runs).write.parquet(folder)
             tier = 1 + max(s.tier for g in part for s in g)
             made += [replace(s, tier=tier) for s in self._written(folder, schema, tier)]
         gone = {s.path for g in groups for s in g}
-        return self.commit(Manifest(now.version + 1, (*(s for s in now.shards if s.path not in gone), *made)))
+
+        def after(shards):
+            if not gone <= {s.path for s in shards}:
+                raise ShardsGone(sorted(gone - {s.path for s in shards}))
+            return (*(s for s in shards if s.path not in gone), *made)
+
+        try:
+            return self.change(after)
+        except ShardsGone:
+            for folder in folders:
+                self._fs.delete(self._path(folder), True)
+            raise
 
     def compact(self, schema, *, target: int = TARGET_BYTES, fan_in: int = FAN_IN, final: bool = False, vacuum: bool = False) -> Manifest:
         """Merge tier by tier until no group of similar shards is left; with `final` also the odd ones."""
         while groups := plan_merges(self.manifest().shards, target, fan_in, final):
-            self.merge(groups, schema)
+            try:
+                self.merge(groups, schema)
+            except ShardsGone:
+                continue  # plan anew from what the other writer has left
             if vacuum:
                 self.vacuum()
         return self.manifest()
@@ -139,7 +185,7 @@ class ShardStore:
             self._fs.delete(self._path(f"{self.root}/manifests/v{v}"), True)
 
     def read(self, schema, version: int | None = None) -> DataFrame:
-        """The rows of a version, with __shard, the file that holds each."""
+        """The rows of a version, repeated rows as often as they came, with __shard, the file that holds each; the schema may have any columns but that one."""
         m = self.manifest(version)
         if not m.shards:
             return self.spark.createDataFrame([], schema).withColumn("__shard", F.lit(None).cast("string"))
@@ -158,5 +204,5 @@ def op5(spark, sf_dir: str) -> DataFrame:
     m = store.compact(docs.schema, final=True, vacuum=True)
     shards = spark.createDataFrame([(s.path, k, s.rows, s.bytes, s.tier, m.version) for k, s in enumerate(m.shards)], "__shard string, shard_id long, shard_rows long, shard_bytes long, tier int, version int")
     # texts become sizes and digests before anything moves; a manifest of bounded length goes to the rows
-    rows = store.read(docs.schema).select("doc_id", "source", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"), "__shard")
+    rows = store.read(docs.schema).select("doc_id", *(c for c in ("source",) if c in docs.columns), F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"), "__shard")
     return rows.join(F.broadcast(shards) if len(m.shards) <= BROADCAST_SHARDS else shards, "__shard").drop("__shard")
