@@ -12,18 +12,13 @@ def portable_key(*parts: Column | int | str) -> Column:
 
 
 def portable_int(*parts: Column | int | str) -> Column:
-    """32 random bits as a number, from the same digest."""
-    return F.conv(F.substring(portable_key(*parts), 1, 8), 16, 10).cast("long")
+    """60 random bits as a number, from the same digest."""
+    return F.conv(F.substring(portable_key(*parts), 1, 15), 16, 10).cast("long")
 
 
 def hash01(*parts: Column | int | str) -> Column:
     """A uniform number in [0, 1)."""
-    return portable_int(*parts) / F.lit(float(1 << 32))
-
-
-def fast_key(*parts: Column) -> Column:
-    """The quick, Spark-only alternative for large frontiers."""
-    return F.xxhash64(*parts)
+    return portable_int(*parts) / F.lit(float(1 << 60))
 
 
 def branch_size(n: Column, k: int | None, adaptive: bool = True) -> Column:

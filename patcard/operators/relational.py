@@ -27,10 +27,6 @@ def range_join(events: DataFrame, hours: int = 1) -> DataFrame:
     return c.join(p, ["user_id", "slot"]).where(F.col("t1").between(F.col("t0"), F.col("t0") + F.expr(f"interval {hours} hours"))).select("user_id", "click", "purchase")
 
 
-def _q(fn):
-    return fn
-
-
 def operators() -> dict:
     """name: (query, SQL)."""
     o: dict = {}
@@ -66,7 +62,7 @@ def operators() -> dict:
     o["op_dates"] = (lambda s, d: _t(s, d, "orders").groupBy(F.year("o_orderdate").alias("y"), F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM").alias("m")).agg(F.count("*").alias("n")), "select cast(year(o_orderdate) as int) y, strftime(date_trunc('month', o_orderdate), '%Y-%m') m, count(*) n from orders group by 1, 2")
     o["op_math"] = (lambda s, d: _t(s, d, "part").select("p_partkey", F.ceil(F.col("p_size") / 7).alias("c"), F.pmod("p_partkey", F.lit(13)).alias("m"), F.round(F.log(F.col("p_retailprice") + 1), 6).alias("l"), F.greatest(F.col("p_size"), F.lit(10)).alias("g")), "select p_partkey, cast(ceil(p_size / 7) as bigint) c, p_partkey % 13 m, round(ln(p_retailprice + 1), 6) l, greatest(p_size, 10) g from part")
     o["op_vector"] = (lambda s, d: _t(s, d, "embeddings").select("vec_id", F.round(F.expr("aggregate(transform(embedding, x -> double(x) * double(x)), 0D, (a, b) -> a + b)"), 6).alias("norm2")), "select vec_id, round(list_sum(list_transform(embedding, lambda x: x::double * x::double)), 6) norm2 from embeddings")
-    o["op_hash_sample"] = (lambda s, d: _t(s, d, "orders").where(hash01(F.lit(5), F.col("o_orderkey")) < 0.1).select("o_orderkey"), "select o_orderkey from orders where ('0x' || substr(md5(concat_ws('|', '5', cast(o_orderkey as varchar))), 1, 8))::bigint / 4294967296.0 < 0.1")
+    o["op_hash_sample"] = (lambda s, d: _t(s, d, "orders").where(hash01(F.lit(5), F.col("o_orderkey")) < 0.1).select("o_orderkey"), "select o_orderkey from orders where ('0x' || substr(md5(concat_ws('|', '5', cast(o_orderkey as varchar))), 1, 15))::bigint / 1152921504606846976.0 < 0.1")
     o["op_correlated_subquery"] = (_sql("select c_custkey from {customer} c where c_acctbal > (select avg(c2.c_acctbal) from {customer} c2 where c2.c_nationkey = c.c_nationkey)"), "select c_custkey from customer c where c_acctbal > (select avg(c2.c_acctbal) from customer c2 where c2.c_nationkey = c.c_nationkey)")
     o["op_recursive"] = (_sql("with recursive r(conv_id, turn, n) as (select conv_id, turn, 1 from {conversations} where turn = 0 union all select c.conv_id, c.turn, r.n + 1 from r join {conversations} c on c.conv_id = r.conv_id and c.turn = r.turn + 1) select conv_id, max(n) as n from r group by conv_id"), "with recursive r as (select conv_id, turn, 1 n from conversations where turn = 0 union all select c.conv_id, c.turn, r.n + 1 from r join conversations c on c.conv_id = r.conv_id and c.turn = r.turn + 1) select conv_id, max(n) n from r group by conv_id")
     return o

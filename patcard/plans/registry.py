@@ -190,10 +190,9 @@ def oracle_edge_walk(pid: str, calls: int, check: str, seed: int = 0) -> str:
     name, text = PATTERNS[pid]
     q = parse_pattern(text)
     first, *rest = q.edges
-    num = lambda *p: "('0x' || substr(md5(concat_ws('|', " + ", ".join(p) + ")), 1, 8))::bigint"
-    text_of = lambda c: f"cast({c} as varchar)"
+    num, text_of = oracle.bits, oracle.text
     ctes = [
-        f"b as (select a, b, {num("'a'", text_of('a'), text_of('b'))} % {S.BUCKETS} bk from {oracle.relation(q, first)})",
+        f"b as (select a, b, {num("'a'", text_of('a'), text_of('b'))} % {oracle.BUCKETS} bk from {oracle.relation(q, first)})",
         "pool as (select a, b, row_number() over (order by bk, a, b) - 1 idx, count(*) over () m from b)",
         f"l0 as (select 0::bigint trial, c.range call from range({calls}) c)",
         f"s1 as (select l0.trial, l0.call, pool.m::double f__, pool.a {first.u}, pool.b {first.w} from l0 join pool on pool.idx = {num(f"'{seed}'", text_of('trial'), text_of('call'), "'0'")} % pool.m)",
