@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -11,8 +13,9 @@ from patcard.functions import metrics
 from patcard.functions.theory import agm_bound, guarantee_check, sample_space, theoretical_calls, variance_bound
 from patcard.index import hard_patterns as I
 from patcard.operators.relational import operators
-from patcard.operators.walk import Walker, auto_ratio, choose_order, embeddings, exact_count, finish, progressive, vertex_walk
+from patcard.operators.walk import Walker, auto_ratio, choose_order, embeddings, exact_count, finish, progressive, sample_size, vertex_walk
 from patcard.plans import oracle, planner, workloads
+from patcard.plans import oracle_methods as O
 from patcard.plans.query import parse_pattern
 from patcard.sources.graphs import GRAPHS, PATTERNS, TOY_QUERY, toy
 from patcard.streaming import events
@@ -30,7 +33,7 @@ def _g(spark, sf_dir, pid):
 
 
 def _est(df: DataFrame, *cols: str) -> DataFrame:
-    return df.select(*[F.round(c, 6).alias(c) if c in ("est", "bound") else F.col(c) for c in cols or df.columns])
+    return df.select(*[F.round(c, 6).alias(c) if c in ("est", "bound", "space") else F.col(c) for c in cols or df.columns])
 
 
 def flagship(spark, sf_dir):
@@ -62,32 +65,34 @@ def queries() -> dict:
     out["vwalk_iso_P9"] = walk("P9", calls=4, trials=2, semantics="iso")
     out["vwalk_skip_P7"] = walk("P7", calls=4, skip=True)
     out["vwalk_replace_P6"] = walk("P6", calls=20, replace=True)
-    out["vwalk_budget_P6"] = walk("P6", calls=20, budget=100)
+    out["vwalk_budget_P6"] = walk("P6", budget=100)
+    out["vwalk_ratio_P6"] = walk("P6", ratio=0.001)
+    out["samplesize_P6"] = lambda s, d: s.createDataFrame([(m, sample_size(*_g(s, d, "P6"), 0.001, m)) for m in ("union", "sum")], "n_mode string, s long")
     out["vwalk_b1_P5"] = walk("P5", calls=1, k=1, adaptive=False)
     out["vwalk_domain_P6"] = lambda s, d: _domain_walk(s, d)
     out["vwalk_disconnected"] = lambda s, d: _est(vertex_walk(GRAPHS["G_trade"](s, d), parse_pattern("(n)-[in_region]->(r), (c)-[cust_in]->(m)"), calls=10))
     out["embeddings_P10"] = lambda s, d: embeddings(*_g(s, d, "P10"))
     out["profile_P6"] = lambda s, d: Walker(*_g(s, d, "P6"), ORDERS["P6"]).profile(s, 1, 10)
-    out["progressive_P5"] = lambda s, d: progressive(Walker(*_g(s, d, "P5"), ORDERS["P5"]).weights(s, 1, 20), 4, 20)
+    out["progressive_P5"] = lambda s, d: progressive(Walker(*_g(s, d, "P5"), ORDERS["P5"]).weights(s, 1, 20), 4, 20).select("trial", "round", F.round("est", 4).alias("est"), F.round("half", 4).alias("half"))
     out["autoratio_P6"] = lambda s, d: s.createDataFrame([auto_ratio(*_g(s, d, "P6"), target=0.3, start=20, cap=80)], "calls int, est double, half double")
     out["subqueries_P7"] = lambda s, d: planner.estimate_subqueries(*_g(s, d, "P7"))
     out["joinorder_P7"] = lambda s, d: _join_order(s, d)
     # baselines
-    out["htblind_toy"] = lambda s, d: S.ht_blind(toy(s, 1), parse_pattern(TOY_QUERY), calls=50)
-    out["htindep_P5"] = lambda s, d: S.ht_independent(*_g(s, d, "P5"), calls=200)
+    out["htblind_toy"] = lambda s, d: _est(S.ht_blind(toy(s, 1), parse_pattern(TOY_QUERY), calls=50))
+    out["htindep_P5"] = lambda s, d: _est(S.ht_independent(*_g(s, d, "P5"), calls=200))
     out["ewalk_P5"] = lambda s, d: _est(S.edge_walk(*_g(s, d, "P5"), calls=300, order=list(parse_pattern(PATTERNS["P5"][1]).edges)))
     out["ewalk_early_P6"] = lambda s, d: _est(S.edge_walk(*_g(s, d, "P6"), calls=300, check="early", order=list(parse_pattern(PATTERNS["P6"][1]).edges)))
     out["ewalk_tuned_P5"] = lambda s, d: S.tuned_edge_walk(*_g(s, d, "P5"), calls=50, pilot=10)
     out["ewalk_domain_P6"] = lambda s, d: _edge_domains(s, d)
-    out["batchwalk_P5"] = lambda s, d: S.batched_edge_walk(*_g(s, d, "P5"), batch=100, trials=2)
+    out["batchwalk_P5"] = lambda s, d: _est(S.batched_edge_walk(*_g(s, d, "P5"), batch=1000, trials=2, order=list(parse_pattern(PATTERNS["P5"][1]).edges)))
     out["treebound_P4t"] = lambda s, d: S.tree_bound(*_g(s, d, "P4t"))
     out["treewalk_P5"] = lambda s, d: S.tree_bound_walk(*_g(s, d, "P5"), calls=50)
     out["corrhash_P5"] = lambda s, d: _est(S.correlated_sampling(*_g(s, d, "P5"), p=0.5, trials=2))
     out["graphlet_P5"] = lambda s, d: S.graphlet_walk(*_g(s, d, "P5"), calls=100)
-    out["charset_P3"] = lambda s, d: M.charset_estimate(M.charset_build(_g(s, d, "P3")[0]), *_g(s, d, "P3"))
-    out["summary_P6"] = lambda s, d: M.summary_estimate(M.summary_build(_g(s, d, "P6")[0], 8), _g(s, d, "P6")[1])
-    out["boundsketch_P5"] = lambda s, d: M.bound_sketch_estimate(M.bound_sketch(*_g(s, d, "P5"), 4), _g(s, d, "P5")[1])
-    out["catalogue_P5"] = lambda s, d: M.catalogue_estimate(*_g(s, d, "P5"))
+    out["charset_P3"] = lambda s, d: _est(M.charset_estimate(M.charset_build(_g(s, d, "P3")[0]), *_g(s, d, "P3")))
+    out["summary_P6"] = lambda s, d: _est(M.summary_estimate(M.summary_build(_g(s, d, "P6")[0], 8), _g(s, d, "P6")[1]))
+    out["boundsketch_P5"] = lambda s, d: _est(M.bound_sketch_estimate(M.bound_sketch(*_g(s, d, "P5"), 4), _g(s, d, "P5")[1]))
+    out["catalogue_P5"] = lambda s, d: _est(M.catalogue_estimate(*_g(s, d, "P5")))
     out["cyclebranch_P6"] = lambda s, d: S.cycle_branch_walk(*_g(s, d, "P6"), calls=10)
     out["indep_P5"] = lambda s, d: _est(M.independence_estimate(*_g(s, d, "P5")))
     out["fpm_G_trade"] = lambda s, d: I.frequent_patterns(GRAPHS["G_trade"](s, d).persist(), 1, 10, workloads.KINDS)
@@ -101,7 +106,7 @@ def queries() -> dict:
     out["refresh_G_act"] = lambda s, d: workloads.stale_index(s, d).refresh(workloads.stale_activity(s, d, 1.0).persist()).table()
     out["labelgroups_G_copart"] = lambda s, d: I.group_labels(GRAPHS["G_copart"](s, d), 8)
     # theory
-    out["varbound"] = lambda s, d: s.createDataFrame([(variance_bound(1 / 32, 5, 20.0), theoretical_calls(1 / 32, 5, 0.5, 0.9))], "bound double, calls long")
+    out["varbound"] = lambda s, d: s.createDataFrame([(round(variance_bound(1 / 32, 5, 20.0), 3), theoretical_calls(1 / 32, 5, 0.5, 0.9))], "bound double, calls long")
     out["coverage_toy"] = lambda s, d: guarantee_check(vertex_walk(toy(s, 2), parse_pattern(TOY_QUERY), calls=40, trials=10, k=2, adaptive=False), 3.0, 0.5)
     out["samplespace_toy"] = lambda s, d: s.createDataFrame([(m, sample_space(toy(s, 1).stats(parse_pattern(TOY_QUERY)), 114, m)) for m in ("blind", "labelled")], "method string, space double")
     out |= workloads.WORKLOADS
@@ -117,8 +122,8 @@ def _order(s, d, pid):
 
 def _agm(s, d, pid):
     g, q = _g(s, d, pid)
-    bound, cover = agm_bound(q, g.stats(q))
-    return s.createDataFrame([(float(bound), str(cover))], "bound double, cover string")
+    bound, _ = agm_bound(q, g.stats(q))
+    return s.createDataFrame([(round(math.log(bound), 9) if bound else 0.0, bound == 0)], "log_bound double, is_empty boolean")
 
 
 def _domain_rows(domains) -> DataFrame:
@@ -169,6 +174,25 @@ def oracle_sql() -> dict[str, str]:
     out["vwalk_b1_P5"] = oracle.walk_sql("P5", ORDERS["P5"], calls=1, trials=1, k=1, adaptive=False)
     out["vwalk_domain_P6"] = oracle.walk_sql("P6", ORDERS["P6"], calls=10, trials=2, domains={"s": "dom_s"}, extra=", dom_s as (select distinct x.dst v from e x join e y on x.src = y.dst and y.elabel = 'placed' where x.elabel = 'shipped_by')")
     out["embeddings_P10"] = oracle.embeddings_sql("P10")
+    for pid in PATTERNS:
+        if PATTERNS[pid][0] != "G_vec":
+            out[f"order_{pid}"], out[f"agm_{pid}"] = O.order_sql(pid), O.agm_sql(pid)
+    out["profile_P6"] = O.profile_sql("P6", ORDERS["P6"], calls=10)
+    out["progressive_P5"] = O.progressive_sql("P5", ORDERS["P5"], rounds=4, calls=20)
+    out["vwalk_budget_P6"] = O.budget_sql("P6", ORDERS["P6"], budget=100)
+    out["vwalk_skip_P7"] = oracle.walk_sql("P7", ORDERS["P7"], calls=4, trials=1)
+    out["htindep_P5"] = O.independent_sql(oracle.GRAPH_SQL["G_trade"], parse_pattern(PATTERNS["P5"][1]), calls=200, blind=False)
+    out["batchwalk_P5"] = O.batch_sql("P5", parse_pattern(PATTERNS["P5"][1]).edges, batch=1000, trials=2)
+    out["corrhash_P5"] = O.correlated_sql("P5", p=0.5, trials=2)
+    out["charset_P3"] = O.charset_sql("P3", M.stars_of(parse_pattern(PATTERNS["P3"][1])))
+    out["summary_P6"] = O.summary_sql("P6", 8)
+    out["boundsketch_P5"] = O.bound_sketch_sql("P5", 4)
+    out["catalogue_P5"] = O.catalogue_triangle_sql("P5", M.chain_order(parse_pattern(PATTERNS["P5"][1])))
+    out["indep_P5"] = O.independence_sql("P5")
+    out["domain_superset_P6"] = O.superset_sql("P6")
+    out["labelgroups_G_copart"] = O.label_groups_sql("G_copart", 8)
+    out["varbound"] = "select round(1.0 / 32 / (1 - 1.0 / 32) * (pow(32, 5) - 1) * 400, 3) bound, ceil(1.0 / 32 / (1 - 1.0 / 32) * (pow(32, 5) - 1) / (0.25 * 0.1))::bigint calls"
+    out["samplespace_toy"] = "select 'blind' as method, pow(114, 6)::double as space union all select 'labelled', (10 * 19 * 19 * 10 * 56 * 56)::double"
     out["domain_tree_P4t"] = _domain_sql("P4t")
     out["domain_exact_P5"] = _domain_sql("P5")
     out["treebound_P4t"] = oracle.exact_sql("P4t").replace("cast(count(*) as bigint) cnt", "cast(count(*) as double) bound")

@@ -100,7 +100,7 @@ def queries() -> dict:
 
     return {
         "stream_tumbling": (lambda s, d: drain(s, new_edges_by_window(read_events(s, cut_into_files(s, d))), "tumble", "complete"), "select time_bucket(interval 6 hours, ts, timestamp '1970-01-01') as start, event_type, count(*) n from events group by 1, 2"),
-        "stream_sliding": (stream(lambda e: new_edges_by_window(e, "6 hours", "3 hours"), "slide"), None),
+        "stream_sliding": (lambda s, d: drain(s, new_edges_by_window(read_events(s, cut_into_files(s, d)), "6 hours", "3 hours"), "slide", "complete"), "select start, event_type, count(*) n from (select time_bucket(interval 3 hours, ts, timestamp '1970-01-01') - interval (3 * k.range) hour as start, event_type from events, range(2) k) group by 1, 2"),
         "stream_sessions": (stream(sessions, "sessions"), None),
         "stream_dedupe": (stream(dedupe, "dedupe"), None),
         "stream_interval_join": (stream(click_then_purchase, "pairs"), "select a.user_id, a.event_id click, b.event_id purchase from events a join events b on a.user_id = b.user_id and a.event_type = 'click' and b.event_type = 'purchase' and b.ts between a.ts and a.ts + interval 1 hour"),
