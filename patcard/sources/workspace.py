@@ -1,4 +1,4 @@
-"""A shared folder for tables that cut lineage: under spark.checkpoint.dir, or a temporary one where that is unset."""
+"""A shared folder for tables that cut lineage: under spark.checkpoint.dir, or, for sessions on one machine, a temporary one where that is unset."""
 
 from __future__ import annotations
 
@@ -9,7 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def workspace(spark: SparkSession, name: str) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="patcard-")
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
+        root = "file://" + tempfile.mkdtemp(prefix="patcard-")
     return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
 
 
