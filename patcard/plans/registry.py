@@ -10,14 +10,16 @@ from pyspark.sql import functions as F
 from patcard.baselines import sampling as S
 from patcard.baselines import summaries as M
 from patcard.functions import metrics
-from patcard.functions.theory import agm_bound, guarantee_check, sample_space, theoretical_calls, variance_bound
+from patcard.functions.surface import canonical_code, ht_mean, register_functions, relation_stats, sorted_intersect
+from patcard.functions.theory import agm_bound, edge_walk_chances, guarantee_check, ht_variance, sample_space, theoretical_calls, variance_bound, variance_curve, walked_space
 from patcard.index import hard_patterns as I
 from patcard.operators.relational import operators
 from patcard.operators.walk import Walker, auto_ratio, choose_order, embeddings, exact_count, finish, progressive, sample_size, vertex_walk
 from patcard.plans import oracle, planner, workloads
 from patcard.plans import oracle_methods as O
 from patcard.plans.query import parse_pattern
-from patcard.sources.graphs import GRAPHS, PATTERNS, TOY_QUERY, toy
+from patcard.sources.graphs import GRAPHS, PATTERNS, TOY_QUERY, from_csv, from_triples, toy
+from patcard.sources.workspace import workspace
 from patcard.streaming import events
 
 #: Orders of the registered walks, so that their SQL can be written without looking at data.
@@ -53,8 +55,7 @@ def queries() -> dict:
         out[f"vertices_{name}"] = lambda s, d, load=load: load(s, d).labels
     for pid in PATTERNS:
         out[f"exact_{pid}"] = lambda s, d, pid=pid: exact_count(*_g(s, d, pid))
-        if PATTERNS[pid][0] != "G_vec":
-            out[f"stats_{pid}"] = lambda s, d, pid=pid: s.createDataFrame([(r["eid"], r["n"], r["na"], r["nb"]) for r in _g(s, d, pid)[0].stats(_g(s, d, pid)[1])], "eid int, n long, na long, nb long")
+        out[f"stats_{pid}"] = lambda s, d, pid=pid: s.createDataFrame([(r["eid"], r["n"], r["na"], r["nb"]) for r in _g(s, d, pid)[0].stats(_g(s, d, pid)[1])], "eid int, n long, na long, nb long")
         out[f"order_{pid}"] = lambda s, d, pid=pid: _order(s, d, pid)
         out[f"agm_{pid}"] = lambda s, d, pid=pid: _agm(s, d, pid)
     for pid, order in ORDERS.items():
@@ -105,6 +106,30 @@ def queries() -> dict:
     out["hybrid_P6"] = lambda s, d: _hybrid(s, d)
     out["refresh_G_act"] = lambda s, d: workloads.stale_index(s, d).refresh(workloads.stale_activity(s, d, 1.0).persist()).table()
     out["labelgroups_G_copart"] = lambda s, d: I.group_labels(GRAPHS["G_copart"](s, d), 8)
+    out["index_report"] = lambda s, d: s.createDataFrame([(k, float(v)) for k, v in I.build_index(GRAPHS["G_act"](s, d).persist(), max_edges=1, calls=50, force=True).report().items()], "measure string, value double")
+    out["index_saved"] = lambda s, d: _saved(s, d)
+    out["index_groups"] = lambda s, d: I.build_index(GRAPHS["G_doc"](s, d).persist(), max_edges=1, use_labels=["doc", "source", "en", "de", "fr", "es"], groups=2, force=True).table().select("code", "n_edges", "size")
+    out["exact_index_P16"] = lambda s, d: _exact_index(s, d)
+    # measures over a table of estimates: part-order-supplier triangles by two methods
+    out["qerror_P5"] = lambda s, d: _runs(s, d).select("method", "trial", F.round(metrics.q_error(F.col("est"), F.col("truth")), 6).alias("q"))
+    out["box_stats"] = lambda s, d: metrics.box_stats(_runs(s, d), "method").select("method", *[F.round(c, 6).alias(c) for c in ("q1", "median", "q3", "low", "high")])
+    out["zero_rate"] = lambda s, d: metrics.zero_rate(_runs(s, d), "method")
+    out["bias_test"] = lambda s, d: metrics.bias_test(_runs(s, d).where("method = 'vertex'").select("trial", "est"), float(exact_count(*_g(s, d, "P5")).first()["cnt"])).select(*[F.round(c, 4).alias(c) for c in ("mean", "se", "z")])
+    out["variance_curve"] = lambda s, d: variance_curve(Walker(*_g(s, d, "P5"), ORDERS["P5"]).weights(s, 1, 32), (1, 2, 4)).select("size", F.round("variance", 2).alias("variance"))
+    out["htvariance_P10"] = lambda s, d: ht_variance(edge_walk_chances(*_g(s, d, "P10"), list(parse_pattern(PATTERNS["P10"][1]).edges))).select("m", F.round("variance", 2).alias("variance"))
+    out["walkedspace_toy"] = lambda s, d: _walked(s)
+    # surface
+    out["op_views"] = lambda s, d: relation_stats(s, GRAPHS["G_trade"](s, d))
+    out["op_pandas_udf"] = lambda s, d: s.createDataFrame([(k, t) for k, (_, t) in PATTERNS.items()], "pid string, pattern string").select("pid", canonical_code("pattern").alias("code"))
+    out["op_udaf"] = lambda s, d: s.read.parquet(f"{d}/orders.parquet").groupBy("o_orderpriority").agg(ht_mean("o_totalprice").alias("m")).select("o_orderpriority", F.round(F.col("m")[0], 4).alias("est"), F.round(F.col("m")[1], 4).alias("half"))
+    out["op_udtf"] = lambda s, d: _table_function(s)
+    out["op_sorted_intersect"] = lambda s, d: _sorted_intersect(s, d)
+    out["op_sample"] = lambda s, d: s.read.parquet(f"{d}/orders.parquet").sampleBy("o_orderstatus", {"F": 1.0, "O": 1.0, "P": 0.0}, 1).sample(1.0, 2).groupBy("o_orderstatus").agg(F.count("*").alias("n"))
+    out["op_map"] = lambda s, d: s.read.parquet(f"{d}/orders.parquet").groupBy("o_custkey", "o_orderstatus").agg(F.count("*").alias("n")).groupBy("o_custkey").agg(F.map_from_entries(F.collect_list(F.struct("o_orderstatus", "n"))).alias("m")).select("o_custkey", F.size(F.map_keys("m")).alias("kinds"), F.coalesce(F.col("m")["F"], F.lit(0)).alias("f"))
+    out["op_sketch"] = lambda s, d: s.read.parquet(f"{d}/lineitem.parquet").agg((F.abs(F.approx_count_distinct("l_partkey", 0.01) / F.count_distinct("l_partkey") - 1) < 0.05).alias("near"))
+    out["source_csv"] = lambda s, d: _round_trip(s, d, "csv")
+    out["source_triples"] = lambda s, d: _round_trip(s, d, "triples")
+    out["sink_stored"] = lambda s, d: GRAPHS["G_act"](s, d).store(workspace(s, "stored")).edges
     # theory
     out["varbound"] = lambda s, d: s.createDataFrame([(round(variance_bound(1 / 32, 5, 20.0), 3), theoretical_calls(1 / 32, 5, 0.5, 0.9))], "bound double, calls long")
     out["coverage_toy"] = lambda s, d: guarantee_check(vertex_walk(toy(s, 2), parse_pattern(TOY_QUERY), calls=40, trials=10, k=2, adaptive=False), 3.0, 0.5)
@@ -115,6 +140,61 @@ def queries() -> dict:
     return out
 
 
+def _runs(s, d) -> DataFrame:
+    """(method, trial, est, truth): three trials of two methods on P5."""
+    g, q = _g(s, d, "P5")
+    truth = exact_count(g, q).select(F.col("cnt").cast("double").alias("truth"))
+    runs = vertex_walk(g, q, calls=4, trials=3, order=ORDERS["P5"]).select(F.lit("vertex").alias("method"), "trial", "est")
+    runs = runs.unionByName(S.edge_walk(g, q, calls=20, trials=3, order=list(q.edges)).select(F.lit("edge").alias("method"), "trial", "est"))
+    return runs.crossJoin(F.broadcast(truth))
+
+
+def _saved(s, d):
+    """Entries of an index that was saved and loaded, with the rows that its domain files hold."""
+    g = GRAPHS["G_act"](s, d).persist()
+    ix = I.build_index(g, max_edges=1, force=True)
+    again = I.load_index(g, ix.save(workspace(s, "saved")))
+    return again.domain_rows().groupBy("code", "u").agg(F.count("*").alias("n"))
+
+
+def _exact_index(s, d):
+    g, q = _g(s, d, "P16")
+    g = g.persist()
+    return exact_count(g, q, index=I.build_index(g, max_edges=2, force=True))
+
+
+def _walked(s):
+    q, rows = parse_pattern(TOY_QUERY), None
+    for which in (1, 2):
+        g = toy(s, which)
+        for method, order in (("edge", q.edges), ("vertex", ("u1", "u2", "u4", "u3", "u5"))):
+            one = walked_space(g, q, method, order).select(F.lit(which).alias("toy"), F.lit(method).alias("method"), "space")
+            rows = one if rows is None else rows.unionByName(one)
+    return rows
+
+
+def _table_function(s):
+    register_functions(s)
+    edges = "\n".join(f"{a} x {b}" for a in range(4) for b in range(4) if a != b)
+    return s.sql(f"select round(avg(w), 6) est, count(*) n from estimate_pattern('(a)-[x]->(b)-[x]->(c)-[x]->(a)', '{edges}', 5, 1)")
+
+
+def _sorted_intersect(s, d):
+    a = s.read.parquet(f"{d}/lineitem.parquet").where("l_suppkey < 5").groupBy("l_suppkey").agg(F.array_sort(F.collect_set("l_partkey")).alias("p"))
+    b = a.select(F.col("l_suppkey").alias("y"), F.col("p").alias("p2"))
+    return a.join(b, F.col("l_suppkey") < F.col("y")).select(F.col("l_suppkey").alias("x"), "y", F.size(sorted_intersect("p", "p2")).cast("long").alias("n")).where("n > 0")
+
+
+def _round_trip(s, d, kind):
+    """The activity graph's edges, written as text and read back."""
+    g, path = GRAPHS["G_act"](s, d), workspace(s, kind)
+    if kind == "csv":
+        g.edges.write.option("header", True).csv(path)
+        return from_csv(s, path, g.labels).edges
+    g.edges.select(F.concat_ws("\t", "src", "elabel", "dst")).write.text(path)
+    return from_triples(s, path, g.labels).edges
+
+
 def _order(s, d, pid):
     g, q = _g(s, d, pid)
     return s.createDataFrame(list(enumerate(choose_order(q, g.stats(q)), 1)), "position int, u string")
@@ -164,8 +244,7 @@ def oracle_sql() -> dict[str, str]:
         out[f"vertices_{name}"] = f"with {oracle.GRAPH_SQL[name]} select v, label from vl"
     for pid in PATTERNS:
         out[f"exact_{pid}"] = oracle.exact_sql(pid)
-        if PATTERNS[pid][0] != "G_vec":
-            out[f"stats_{pid}"] = oracle.stats_sql(pid)
+        out[f"stats_{pid}"] = oracle.stats_sql(pid)
     for pid, order in ORDERS.items():
         out[f"vwalk_{pid}"] = oracle.walk_sql(pid, order, calls=CALLS.get(pid, 4), trials=2)
     out["vwalk_nobranch_P6"] = oracle.walk_sql("P6", ORDERS["P6"], calls=60, trials=2, k=None)
@@ -175,8 +254,28 @@ def oracle_sql() -> dict[str, str]:
     out["vwalk_domain_P6"] = oracle.walk_sql("P6", ORDERS["P6"], calls=10, trials=2, domains={"s": "dom_s"}, extra=", dom_s as (select distinct x.dst v from e x join e y on x.src = y.dst and y.elabel = 'placed' where x.elabel = 'shipped_by')")
     out["embeddings_P10"] = oracle.embeddings_sql("P10")
     for pid in PATTERNS:
-        if PATTERNS[pid][0] != "G_vec":
-            out[f"order_{pid}"], out[f"agm_{pid}"] = O.order_sql(pid), O.agm_sql(pid)
+        out[f"order_{pid}"], out[f"agm_{pid}"] = O.order_sql(pid), O.agm_sql(pid)
+    out |= O.measure_sql(oracle_edge_walk("P5", 20, "end", trials=3), ORDERS["P5"])
+    out["htblind_toy"] = O.independent_sql(oracle.toy_sql(1), parse_pattern(TOY_QUERY), calls=50, blind=True)
+    toy_walk = oracle.walk_on(oracle.toy_sql(2), parse_pattern(TOY_QUERY), O.TOY_ORDER, calls=40, trials=10, k=2, adaptive=False, columns="avg(w) est")
+    out["coverage_toy"] = f"select avg((abs(est - 3) < 1.5)::int::double) coverage from ({toy_walk})"
+    out["walkedspace_toy"] = O.walked_sql()
+    out["samplesize_P6"] = O.sample_size_sql("P6", 0.001)
+    out["vwalk_disconnected"] = O.product_sql("G_trade", [("(c)-[cust_in]->(m)", ("m", "c"), 0), ("(n)-[in_region]->(r)", ("r", "n"), 7919)], calls=10)
+    out["htvariance_P10"] = O.chances_sql("P10")
+    out["exact_index_P16"] = oracle.exact_sql("P16")
+    out["index_saved"] = f"with {oracle.GRAPH_SQL['G_act']} select ';#1d0:' || elabel code, 'x1' u, count(distinct dst) n from e group by elabel union all select ';#1d0:' || elabel, 'x0', count(distinct src) from e group by elabel"
+    out["index_level1"] = f"with {oracle.GRAPH_SQL['G_trade']}, k as (select v, label from vl where label in ({', '.join(repr(x) for x in workloads.KINDS)})) select case when a.label <= b.label then a.label || ';' || b.label || '#0d1:' else b.label || ';' || a.label || '#1d0:' end || elabel code, 1 n_edges, true hard, 1.0::double fail_rate, count(distinct src) + count(distinct dst) as size from e join k a on a.v = src join k b on b.v = dst group by elabel, a.label, b.label"
+    out["fpm_G_trade"] = f"with {oracle.GRAPH_SQL['G_trade']}, k as (select v, label from vl where label in ({', '.join(repr(x) for x in workloads.KINDS)})) select case when a.label <= b.label then a.label || ';' || b.label || '#0d1:' else b.label || ';' || a.label || '#1d0:' end || elabel code, 1 n_edges, least(count(distinct src), count(distinct dst)) support from e join k a on a.v = src join k b on b.v = dst group by elabel, a.label, b.label having support >= 10"
+    out["op_views"] = f"with {oracle.GRAPH_SQL['G_trade']} select elabel, count(*) n_edges, count(distinct src) n_src, count(distinct dst) n_dst, (select max(n) from (select count(*) n from e x where x.elabel = e.elabel group by x.src)) max_deg_src, (select max(n) from (select count(*) n from e x where x.elabel = e.elabel group by x.dst)) max_deg_dst from e group by elabel"
+    out["op_udaf"] = "select o_orderpriority, round(avg(o_totalprice), 4) est, round(1.96 * stddev_samp(o_totalprice) / sqrt(count(*)), 4) half from orders group by 1"
+    out["op_udtf"] = "select 24.0::double est, 5::bigint n"
+    out["op_sorted_intersect"] = operators()["op_array_intersect"][1]
+    out["op_sample"] = "select o_orderstatus, count(*) n from orders where o_orderstatus <> 'P' group by 1"
+    out["op_map"] = "select o_custkey, count(distinct o_orderstatus)::int kinds, count(*) filter (o_orderstatus = 'F') f from orders group by 1"
+    out["op_sketch"] = "select true as near"
+    for name in ("source_csv", "source_triples", "sink_stored"):
+        out[name] = out["edges_G_act"]
     out["profile_P6"] = O.profile_sql("P6", ORDERS["P6"], calls=10)
     out["progressive_P5"] = O.progressive_sql("P5", ORDERS["P5"], rounds=4, calls=20)
     out["vwalk_budget_P6"] = O.budget_sql("P6", ORDERS["P6"], budget=100)
@@ -209,7 +308,7 @@ def _domain_sql(pid: str) -> str:
     return f"with {oracle.GRAPH_SQL[name]}, m as materialized (select * from {oracle._joined(q)}) " + " union all ".join(f"select distinct '{u}' u, {u} v from m" for u in q.names)
 
 
-def oracle_edge_walk(pid: str, calls: int, check: str, seed: int = 0) -> str:
+def oracle_edge_walk(pid: str, calls: int, check: str, seed: int = 0, trials: int = 1) -> str:
     """An edge walk in windows: a number for each pair of the first relation, then the least hash among the neighbours."""
     name, text = PATTERNS[pid]
     q = parse_pattern(text)
@@ -218,7 +317,7 @@ def oracle_edge_walk(pid: str, calls: int, check: str, seed: int = 0) -> str:
     ctes = [
         f"b as (select a, b, {num("'a'", text_of('a'), text_of('b'))} % {oracle.BUCKETS} bk from {oracle.relation(q, first)})",
         "pool as (select a, b, row_number() over (order by bk, a, b) - 1 idx, count(*) over () m from b)",
-        f"l0 as (select 0::bigint trial, c.range call from range({calls}) c)",
+        f"l0 as (select t.range trial, c.range call from range({trials}) t, range({calls}) c)",
         f"s1 as (select l0.trial, l0.call, pool.m::double f__, pool.a {first.u}, pool.b {first.w} from l0 join pool on pool.idx = {num(f"'{seed}'", text_of('trial'), text_of('call'), "'0'")} % pool.m)",
     ]
     placed, last, copies = [first.u, first.w], "s1", []

@@ -61,24 +61,57 @@ def click_then_purchase(events: DataFrame) -> DataFrame:
 
 
 def drift(events: DataFrame, built_on: int, shares: tuple[float, ...] = (0.05, 0.1)) -> DataFrame:
-    """(seen, share, rebuild) after each batch and partition of work: how much has come since an index was built on built_on rows."""
+    """(seen, share, rebuild, urgent) after each batch: how much has come since an index was built on built_on rows. Events are counted where they are read; only the counts of some parts meet in the state's single key."""
 
     def count(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        seen = (state.get[0] if state.exists else 0) + sum(len(b) for b in batches)
+        seen = (state.get[0] if state.exists else 0) + sum(int(b["n"].sum()) for b in batches)
         state.update((seen,))
         share = seen / max(1, built_on)
         yield pd.DataFrame({"seen": [seen], "share": [share], "rebuild": [share >= shares[0]], "urgent": [share >= shares[-1]]})
 
-    return events.select(F.lit(0).alias("k"), "event_id").groupBy("k").applyInPandasWithState(count, "seen long, share double, rebuild boolean, urgent boolean", "seen long", "update", GroupStateTimeout.NoTimeout)
+    def partial(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        yield pd.DataFrame({"k": [0], "n": [sum(len(b) for b in batches)]})
 
+    counts = events.select("event_id").mapInPandas(partial, "k int, n long")
+    return counts.groupBy("k").applyInPandasWithState(count, "seen long, share double, rebuild boolean, urgent boolean", "seen long", "update", GroupStateTimeout.NoTimeout)
 
-def estimate_snapshots(spark: SparkSession, events: DataFrame, labels: DataFrame, estimate, path: str) -> None:
-    """foreachBatch: each batch's edges join the graph so far and the walk is run on the snapshot."""
+
+def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(start, n): tumbling counts when the first six hours' events come once more after all others: they are past the watermark and change nothing."""
+    path = workspace(spark, "late")
+    ev = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", "ts", "user_id", "event_type", "value", "props")
+    first = ev.agg(F.min("ts").alias("t0"))
+    late = ev.crossJoin(F.broadcast(first)).where(F.col("ts") < F.col("t0") + F.expr("interval 6 hours")).drop("t0")
+    counts = None
+    for part in (ev, late, ev.orderBy(F.desc("ts")).limit(1)):  # a row at the end lets the watermark close the windows
+        part.coalesce(1).write.mode("append").parquet(f"{path}/in")
+        w = F.window("ts", "6 hours").alias("w")
+        counts = spark.readStream.schema(SCHEMA).parquet(f"{path}/in").withWatermark("ts", "10 minutes").groupBy(w).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "n")
+        counts.writeStream.format("parquet").option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).outputMode("append").start(f"{path}/out").awaitTermination()
+    return spark.read.schema(counts.schema).parquet(f"{path}/out")
+
+
+def estimate_snapshots(spark: SparkSession, events: DataFrame, estimate, path: str) -> DataFrame:
+    """foreachBatch: each batch's edges join those so far, kept as a table, and `estimate` of the snapshot is written with the batch's number; all estimates."""
 
     def one(df: DataFrame, number: int) -> None:
-        estimate(df, labels).withColumn("batch", F.lit(number)).write.mode("append").parquet(f"{path}/estimates")
+        df.write.mode("overwrite").parquet(f"{path}/events/batch={number}")  # a batch that is run again replaces itself
+        so_far = spark.read.schema(SCHEMA).parquet(*[f"{path}/events/batch={k}" for k in range(number + 1)])
+        estimate(so_far).withColumn("batch", F.lit(number).cast("long")).write.mode("overwrite").parquet(f"{path}/estimates/at={number}")
 
     events.writeStream.foreachBatch(one).option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{path}/estimates").drop("at")
+
+
+def snapshots(spark: SparkSession, sf_dir: str, calls: int = 10) -> DataFrame:
+    """The walk for users who clicked and bought the same item, on every snapshot of the activity graph."""
+    from patcard.operators.walk import vertex_walk
+    from patcard.plans.query import parse_pattern
+    from patcard.sources.graphs import PATTERNS, g_act
+
+    q = parse_pattern(PATTERNS["P16"][1])
+    events = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", 4).parquet(cut_into_files(spark, sf_dir))
+    return estimate_snapshots(spark, events, lambda ev: vertex_walk(g_act(spark, sf_dir, ev), q, calls=calls, order=("k", "u")), workspace(spark, "snapshots"))
 
 
 def queries() -> dict:
@@ -101,10 +134,12 @@ def queries() -> dict:
     return {
         "stream_tumbling": (lambda s, d: drain(s, new_edges_by_window(read_events(s, cut_into_files(s, d))), "tumble", "complete"), "select time_bucket(interval 6 hours, ts, timestamp '1970-01-01') as start, event_type, count(*) n from events group by 1, 2"),
         "stream_sliding": (lambda s, d: drain(s, new_edges_by_window(read_events(s, cut_into_files(s, d)), "6 hours", "3 hours"), "slide", "complete"), "select start, event_type, count(*) n from (select time_bucket(interval 3 hours, ts, timestamp '1970-01-01') - interval (3 * k.range) hour as start, event_type from events, range(2) k) group by 1, 2"),
-        "stream_sessions": (stream(sessions, "sessions"), None),
+        "stream_sessions": (lambda s, d: drain(s, sessions(read_events(s, cut_into_files(s, d))), "sessions", "complete"), "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 30 minute then 0 else 1 end as fresh from events), k as (select *, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) s from g) select user_id, min(ts) as start, count(*) n from k group by user_id, s"),
         "stream_dedupe": (stream(dedupe, "dedupe"), None),
         "stream_interval_join": (stream(click_then_purchase, "pairs"), "select a.user_id, a.event_id click, b.event_id purchase from events a join events b on a.user_id = b.user_id and a.event_type = 'click' and b.event_type = 'purchase' and b.ts between a.ts and a.ts + interval 1 hour"),
         "stream_static_join": (kinds, "select event_id, case event_type when 'click' then 1 else 2 end kind from events where event_type in ('click', 'purchase')"),
         "stream_complete": (total, "select event_type, count(*) n from events group by 1"),
         "stream_drift": (rebuild, None),
+        "stream_late": (late_rows, "select time_bucket(interval 6 hours, ts, timestamp '1970-01-01') as start, count(*) n from events group by 1 having time_bucket(interval 6 hours, max(ts), timestamp '1970-01-01') + interval 6 hour <= (select max(ts) from events) - interval 10 minute"),
+        "stream_snapshots": (snapshots, None),
     }
