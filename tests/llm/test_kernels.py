@@ -261,3 +261,56 @@ def test_merge_planning():
     assert sharding.plan_merges(s[:3], target=1000, fan_in=4) == []
     assert len(sharding.plan_merges(s[:3], target=1000, fan_in=4, final=True)[0]) == 3
     assert zlib.crc32(b"") == 0
+
+
+def test_letters_and_unlearned_nets():
+    net = L.train(["hello there"] * 3, ["en"] * 3, steps=5)
+    assert L.predict(net, ["12 ½ Ⅷ ①", None, "", "a"])[0] == ["und", "und", "und", "en"]
+    none = L.train([], [])
+    lang, score = L.predict(none, ["hello", None])
+    assert lang == ["und", "und"] and score.tolist() == [0.0, 0.0]
+
+
+def test_short_items_stand_between_word_borders():
+    index = D.ItemIndex([(1, "Red Fox"), (2, "a benchmark item that is long enough for edits")])
+    assert [(i, e, a, b) for i, e, a, b in index.find("the red  fox ran")] == [(1, 0, 4, 12)]
+    assert index.find("the redder foxes ran") == [] == index.find("coloured foxy")
+
+
+def test_places_after_a_dotted_capital_i():
+    text = "İİ before. A benchmark item that is long enough for edits! after"
+    ((_, edits, a, b),) = D.ItemIndex([(2, "a benchmark item that is long enough for edits")]).find(text)
+    assert edits == 0 and text[a:b] == "A benchmark item that is long enough for edits"
+    assert toxicity.lowered("İSTUPID") == "istupid"
+
+
+def test_configuration_program_meets_its_bound():
+    """Against an exact optimum: halves and thirds of a sequence fill it without waste; other classes pair up."""
+    units = 12
+    counts = np.zeros(units + 1, dtype=np.int64)
+    counts[[6, 4, 3]] = 20, 30, 40
+    solution, bound = P.configurations(counts, units)
+    assert np.allclose(sum(t * a for a, t in solution), counts) and all(a @ np.arange(units + 1) <= units for a, _ in solution)
+    assert sum(t for _, t in solution) == pytest.approx(30) and bound == pytest.approx(30)
+    counts[:] = 0
+    counts[[7, 5]] = 10, 4
+    solution, bound = P.configurations(counts, units)
+    assert bound <= sum(t for _, t in solution) + 1e-9 and sum(t for _, t in solution) == pytest.approx(10, rel=0.05)
+
+
+def test_ngrams_stay_in_words():
+    f, at = quality.features(["ab cd", "ab  cd", "", None])
+    assert at[2] - at[1] >= at[1] - at[0] > 0 and at[4] == at[2]
+    words = set(quality.features(["abc xyz"])[0].tolist())
+    assert set(quality.features(["abc"])[0].tolist()) & words and not set(quality.features(["bcxy"])[0].tolist()) & words
+
+
+def test_registers_keep_every_row_with_a_partner():
+    rng = np.random.default_rng(3)
+    base = np.sort(rng.integers(0, 2**64, 300, dtype=np.uint64))
+    near = np.sort(np.concatenate([base[:290], rng.integers(0, 2**64, 10, dtype=np.uint64)]))
+    far = np.sort(rng.integers(0, 2**64, 300, dtype=np.uint64))
+    regs = N.registers([base, near, far])
+    assert N.promising(regs, np.array([0, 1, 2]), None).tolist() == [True, True, False]
+    assert not N.promising(regs, np.array([0, 0, 2]), None).any()
+    assert not N.promising(regs, np.array([0, 1, 2]), np.array([1, 1, 2])).any()

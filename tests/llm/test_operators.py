@@ -235,3 +235,51 @@ def test_registry():
 
     names = list(registry.queries())
     assert sorted(int(n[2:].split("_")[0]) for n in names) == list(range(1, 11)) and set(registry.oracle_sql()) <= set(names)
+
+
+def test_two_writers_of_one_version(docs, spark):
+    """Both have read the same manifest: one commits, the other fails and applies its change to the newer one."""
+    store = sharding.ShardStore(spark, workspace(spark, "two-writers"))
+    store.append(docs)
+    now = store.manifest()
+    store.commit(sharding.Manifest(now.version + 1, now.shards))
+    with pytest.raises(sharding.VersionTaken):
+        store.commit(sharding.Manifest(now.version + 1, ()))
+    assert store.manifest().shards == now.shards
+    gone = [list(now.shards)]
+    store.merge(gone, docs.schema)
+    with pytest.raises(sharding.ShardsGone):
+        store.merge(gone, docs.schema)
+    assert store.read(docs.schema).count() == len(ROWS)
+
+
+def test_clashing_columns(docs, spark):
+    from pyspark.sql import functions as F
+
+    odd = docs.withColumns({c: F.lit(1) for c in ("k1", "k2", "__spans", "__lid", "__copy", "lang_pred", "lang_score")})
+    assert suffix_dedup.remove_repeats(odd).columns == odd.columns
+    assert near_duplicates.keep_one_of_each(odd).columns == odd.columns
+    net = language_id.fit(docs)
+    kept = language_id.filter_stage(odd, net)
+    assert kept.columns == odd.columns and kept.where("lang_pred <> 1").count() == 0
+    assert language_id.filter_stage(docs, language_id.fit(docs.limit(0))).count() == len(ROWS)
+    pieces = packing.pieces(docs).withColumn("offset", F.lit("x"))
+    packed = packing.pack(pieces)
+    assert dict(packed.dtypes)["offset"] == "bigint" and packed.count() == pieces.count()
+
+
+def test_descend_and_slices(spark, monkeypatch):
+    """Small cells, slices of them and rounds of NN-descent on 3,000 vectors: recall against brute force."""
+    for name, value in (("CELL", 100), ("CELL_MAX", 150), ("MAX_PIVOTS", 8)):
+        monkeypatch.setattr(neighbours, name, value)
+    rng = np.random.default_rng(8)
+    centres = rng.normal(size=(30, 16))
+    x = centres[rng.integers(0, 30, 3000)] + 0.5 * rng.normal(size=(3000, 16))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    out = neighbours.nearest(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>"), every=100).toPandas()
+    found = 0
+    for q in range(0, 3000, 100):
+        s = x @ x[q]
+        s[q] = -np.inf
+        found += len(set(np.argsort(-s)[:20].tolist()) & set(out[out["query_id"] == q]["vec_id"]))
+    assert found >= 0.9 * 600
