@@ -20,6 +20,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+from numpy.lib.stride_tricks import as_strided
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -28,6 +29,8 @@ from llm.textkit import text_batches, tidy
 
 CAPACITY = 4096
 UNIT = 4
+#: Units that the knapsack prices at once.
+BLOCK = 16
 END_ID = 1
 #: Words whose ids one Python worker remembers; beyond that it forgets all and starts anew.
 CACHE_WORDS = 500_000
@@ -156,19 +159,34 @@ def heaviest(weight: np.ndarray, limit: np.ndarray, units: int) -> np.ndarray:
     classes = np.flatnonzero(limit > 0)
     if not len(classes):
         return np.zeros(len(weight), dtype=np.int64)
-    value = weight[classes]
-    best, take, sums = np.zeros(units + 1), [0] * (units + 1), np.empty(len(classes))
-    upto = np.searchsorted(classes, np.arange(units + 1), side="right").tolist()
-    for c in range(1, units + 1):
-        most = best[c - 1]
-        if k := upto[c]:
-            gain = sums[:k]
-            np.add(value[:k], best.take(c - classes[:k]), out=gain)
-            j = gain.argmax()
-            if gain[j] > most:
-                most = gain[j]
-                take[c] = int(classes[j])
-        best[c] = most
+    small = [(c, float(weight[c])) for c in classes.tolist() if c < BLOCK]
+    value = np.full(units + 1, -np.inf)
+    value[classes] = weight[classes]
+    value[:BLOCK] = -np.inf
+    # back[units - c] for c units, -inf after: row i of a block's view is what lies below lo + i, by class.
+    # What large classes give within a block depends on what lies before it alone; small ones go unit by unit
+    back = np.full(2 * units + 1, -np.inf)
+    back[units] = last = 0.0
+    near = [-np.inf] * (BLOCK - 1) + [0.0]
+    take = [0] * (units + 1)
+    for lo in range(1, units + 1, BLOCK):
+        n = min(BLOCK, units + 1 - lo)
+        below = as_strided(back[units - lo :], (n, lo + n), (-back.strides[0], back.strides[0]), writeable=False)
+        gain = below + value[: lo + n]
+        whose = gain.argmax(axis=1)
+        tops = gain[np.arange(n), whose].tolist()
+        for i, (top, own) in enumerate(zip(tops, whose.tolist(), strict=True)):
+            most, which = -np.inf, 0
+            for c, v in small:
+                if near[BLOCK + i - c] + v > most:
+                    most, which = near[BLOCK + i - c] + v, c
+            if top > most:
+                most, which = top, own
+            if most > last:
+                last, take[lo + i] = most, which
+            near.append(last)
+        back[units - lo - n + 1 : units - lo + 1] = near[: BLOCK - 1 : -1]
+        near = near[-BLOCK:]
     out, c = np.zeros(len(weight), dtype=np.int64), units
     while c > 0:
         if take[c]:
