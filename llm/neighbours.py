@@ -147,7 +147,8 @@ def descend(nodes: DataFrame, graph: DataFrame, top: float, degree: int = DEGREE
                     cols = np.flatnonzero(better[i])
                     owner.append(int(ids[i]))
                     near.append([{"sim": float(sims[i, c]), "id": int(ids[c])} for c in cols])
-            yield pd.DataFrame({"id": owner, "near": near})
+            if owner:  # an empty column of lists would pass for one of numbers
+                yield pd.DataFrame({"id": owner, "near": near})
 
     gathered = brought.groupBy("id").agg(F.collect_list("to").alias("to"), F.collect_list("v").alias("v"), F.collect_list(F.coalesce("worst", F.lit(float("nan")))).alias("worst"))
     found = gathered.drop("id").mapInPandas(compare, f"id long, near {LIST}")
