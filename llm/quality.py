@@ -29,13 +29,16 @@ THRESHOLD = 0.3
 def features(texts) -> tuple[np.ndarray, np.ndarray]:
     """Bucket numbers of all features of each text, text after text, and where each text's begin (one entry more).
 
-    Features are the words and the character n-grams of words: runs of n characters that lie in a
-    word, which may take in the space before it or behind it.
+    Features are the words, the pairs of adjacent words and the character n-grams of words: runs of
+    n characters that lie in a word, which may take in the space before it or behind it. A pair is
+    hashed by the exclusive or of its words' hashes, so a word said twice is one feature, whatever the word.
     """
     buf, offsets = join_texts(texts)
     starts, ends = word_spans(buf)
     mask = (1 << BITS) - 1
-    words = (mix64(PrefixHash(buf).raw(starts, ends) + (ends - starts).astype(U64)) & U64(mask)).astype(np.int32)
+    named = mix64(PrefixHash(buf).raw(starts, ends) + (ends - starts).astype(U64))
+    words = (named & U64(mask)).astype(np.int32)
+    pairs = (mix64(named[1:] ^ named[:-1]) & U64(mask)).astype(np.int32) + np.int32(2 << BITS)
     kept = [t if isinstance(t, str) else "" for t in texts]
     begin = np.zeros(len(kept) + 1, dtype=np.int64)
     np.cumsum([len(t) + 1 for t in kept], out=begin[1:])
@@ -57,7 +60,7 @@ def features(texts) -> tuple[np.ndarray, np.ndarray]:
     cut = np.searchsorted(starts, offsets)
     parts, sizes = [], np.zeros(len(offsets), dtype=np.int64)
     for i in range(len(offsets) - 1):
-        mine = [words[cut[i] : cut[i + 1]], *(g[lo[i] : hi[i]] for g, (lo, hi) in zip(grams, bounds, strict=True))] if cut[i + 1] > cut[i] else []
+        mine = [words[cut[i] : cut[i + 1]], pairs[cut[i] : cut[i + 1] - 1], *(g[lo[i] : hi[i]] for g, (lo, hi) in zip(grams, bounds, strict=True))] if cut[i + 1] > cut[i] else []
         parts += mine
         sizes[i + 1] = sum(map(len, mine))
     return np.concatenate(parts) if parts else np.zeros(0, np.int32), np.cumsum(sizes)
@@ -89,9 +92,9 @@ def train(texts: list[str], labels: list[int], *, epochs: int = 6, lr: float = 0
     y = np.array([int(v) for v in labels])
     if len(set(y.tolist())) < 2:
         share = float(y.mean()) if len(y) else 0.5
-        return SubwordModel(np.zeros(2 << BITS, np.float32), float(np.log((share + 0.01) / (1.01 - share))))
+        return SubwordModel(np.zeros(3 << BITS, np.float32), float(np.log((share + 0.01) / (1.01 - share))))
     rng = np.random.default_rng(seed)
-    vec = rng.uniform(-1 / DIM, 1 / DIM, (2 << BITS, DIM)).astype(np.float32)
+    vec = rng.uniform(-1 / DIM, 1 / DIM, (3 << BITS, DIM)).astype(np.float32)
     out, out_bias = np.zeros((DIM, 2), np.float32), np.zeros(2, np.float32)
     docs = []
     for part in text_batches(texts):
