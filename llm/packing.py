@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import gc
 import re
+import struct
 import zlib
 from bisect import bisect_left, insort
 from collections.abc import Iterator
@@ -32,8 +33,8 @@ UNIT = 4
 #: Units that the knapsack prices at once.
 BLOCK = 16
 END_ID = 1
-#: Words whose ids one Python worker remembers; beyond that it forgets all and starts anew.
-CACHE_WORDS = 500_000
+#: Chunks of text whose ids one Python worker remembers, twice at most; beyond that it forgets those not met lately.
+CACHE_CHUNKS = 600_000
 
 
 def default_tokenizer_file() -> str:
@@ -46,26 +47,52 @@ def default_tokenizer_file() -> str:
 _word = re.compile(r"[^\W\d_]+|'(?:s|t|re|ve|m|ll|d)|\d|(?:[^\s\w]|_)+")
 #: Characters for which the shortcut below could differ from the library, and the mark of special tokens.
 _other = re.compile("[\x00-\x08\x0e-\x1f\x7f-\xa0\xad\xb2\xb3\xb9\xbc-\xbeİɐ-\U0010ffff]|<\\|")
+#: Those of them that one byte can stand for.
+_other_bytes = bytes(b for b in range(256) if _other.match(chr(b)))
+
+
+def needs_library(text: str) -> bool:
+    """Whether the text has any of these, for texts of Latin-1 without a look at every character."""
+    try:
+        raw = text.encode("latin-1")
+    except UnicodeEncodeError:
+        return _other.search(text) is not None
+    return len(raw.translate(None, _other_bytes)) < len(raw) or "<|" in text
+
+
 
 
 class _Known(dict):
-    """Ids by word; a word that is asked for before it is known is noted in `new`, once, and answered with None."""
+    """Ids by chunk; a chunk that is asked for before it is known is noted in `new`, once, and answered with None. What was known before the last renewal comes back when it is asked for."""
 
     def __init__(self):
         super().__init__()
         self.new: list[str] = []
+        self.old: dict[str, bytes] = {}
+
+    def __missing__(self, chunk):
+        ids = self[chunk] = self.old.get(chunk)
+        if ids is None:
+            self.new.append(chunk)
+        return ids
+
+    def renew(self):
+        """Forget what has not been asked for since the last renewal."""
+        self.old = dict(self)
+        self.clear()
+
 
-    def __missing__(self, word):
-        self.new.append(word)
-        self[word] = None
+#: Words of which the library's own pattern makes one word, and that its normalisers leave as they are.
+_plain = re.compile("[a-zß-öø-ÿ]+")
 
 
 class WordTokenizer:
     """Ids of whole texts as little-endian uint32 bytes, equal to the library's for every text.
 
-    The vocabulary splits text into words before it merges, so a word's ids do not depend on its
-    neighbours and can be remembered. Texts beyond Latin letters, with control characters or
-    with marks of special tokens go through the library whole.
+    The vocabulary splits text into words before it merges, and no word holds white space, so the
+    ids of a chunk between white space do not depend on its neighbours and can be remembered.
+    Texts beyond Latin letters, with control characters or with marks of special tokens go
+    through the library whole.
     """
 
     def __init__(self, path: str):
@@ -73,32 +100,62 @@ class WordTokenizer:
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import ByteLevel
 
         self.library = Tokenizer.from_file(path)
+        self.model = self.library.model
         self.known = _Known()
+        # the characters that stand for the bytes of plain words beyond ASCII
+        as_bytes = ByteLevel(add_prefix_space=False, use_regex=False)
+        self.spelt = {ord(c): as_bytes.pre_tokenize_str(c)[0][0] for c in map(chr, range(0xDF, 0x100)) if _plain.fullmatch(c)}
         vocab = self.library.get_vocab()
         self.ends_word = np.zeros(max(vocab.values()) + 1, dtype=bool)
         self.ends_word[[i for token, i in vocab.items() if token.endswith("</w>")]] = True
 
     @staticmethod
     def _pack(ids) -> bytes:
-        return np.array(ids, dtype="<u4").tobytes()
+        return struct.pack(f"<{len(ids)}I", *ids)
 
     def encode(self, texts) -> list[bytes]:
         known = self.known
-        if len(known) > CACHE_WORDS:
-            known.clear()
-        words = [None if _other.search(t) else _word.findall(t.lower()) for t in texts]
-        # one look-up for each word: those met for the first time are noted, and filled in afterwards
-        found = [None if w is None else list(map(known.__getitem__, w)) for w in words]
+        if len(known) > CACHE_CHUNKS:
+            known.renew()
+        chunks = [None if needs_library(t) else t.lower().split() for t in texts]
+        # one look-up for each chunk: those met for the first time are noted, and filled in afterwards
+        found = [None if c is None else list(map(known.__getitem__, c)) for c in chunks]
         if known.new:
             self._learn(known.new)
             known.new = []
-            found = [f if f is None or None not in f else [known[w] if v is None else v for v, w in zip(f, ws, strict=True)] for f, ws in zip(found, words, strict=True)]
+            found = [f if f is None or None not in f else list(map(known.__getitem__, cs)) for f, cs in zip(found, chunks, strict=True)]
         return [self._pack(self.library.encode(t, add_special_tokens=False).ids) if f is None else b"".join(f) for t, f in zip(texts, found, strict=True)]
 
-    def _learn(self, words: list[str], chunk: int = 500) -> None:
-        """Ids of new words, many to a call: in a line of words, an id that ends a word says where to cut."""
+    def _learn(self, chunks: list[str]) -> None:
+        """Ids of new chunks: those of their words, one after the other. A word is a chunk of its own."""
+        known, mixed, rare = self.known, {}, {}
+        for c in chunks:
+            if _plain.fullmatch(c):
+                known[c] = self._merged(c)
+            else:
+                mixed[c] = _word.findall(c)
+        for words in mixed.values():
+            for w in words:
+                if known.get(w) is None:
+                    if (ids := known.old.get(w)) is not None:
+                        known[w] = ids
+                    elif _plain.fullmatch(w):
+                        known[w] = self._merged(w)
+                    else:
+                        rare[w] = None
+        self._look_up(list(rare))
+        for c, words in mixed.items():
+            known[c] = b"".join([known[w] for w in words])
+
+    def _merged(self, word: str) -> bytes:
+        """Ids of a plain word, from the model alone."""
+        return self._pack([t.id for t in self.model.tokenize(word if word.isascii() else word.translate(self.spelt))])
+
+    def _look_up(self, words: list[str], chunk: int = 500) -> None:
+        """Ids of other words, many to a call: in a line of words, an id that ends a word says where to cut."""
         parts = [words[a : a + chunk] for a in range(0, len(words), chunk)]
         for part, e in zip(parts, self.library.encode_batch_fast([" ".join(p) for p in parts], add_special_tokens=False), strict=True):
             ids = np.array(e.ids, dtype="<u4")

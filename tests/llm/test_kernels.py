@@ -253,6 +253,21 @@ def test_word_tokenizer_equals_the_library():
         assert tok.encode([t])[0] == tok._pack(tok.library.encode(t, add_special_tokens=False).ids), t
 
 
+def test_word_tokenizer_remembers_what_it_meets_often(monkeypatch):
+    """A full cache forgets what was not met lately, not all; results stay those of the library."""
+    monkeypatch.setattr(P, "CACHE_CHUNKS", 50)
+    tok, learned = P.WordTokenizer(P.default_tokenizer_file()), []
+    learn = tok._learn
+    monkeypatch.setattr(tok, "_learn", lambda chunks: (learned.extend(chunks), learn(chunks)))
+    rng = random.Random(3)
+    letters = "abcdefghijklmnopqrstuvwxyzßàéîöøúýþÿÀÉŽſıª'_-.,!12"
+    for _ in range(40):
+        text = "The naïve often-met straße " + " ".join("".join(rng.choice(letters) for _ in range(rng.randrange(1, 9))) for _ in range(30))
+        assert tok.encode([text])[0] == tok._pack(tok.library.encode(text, add_special_tokens=False).ids), text
+    for common in ("the", "naïve", "often-met", "straße"):
+        assert learned.count(common) == 1
+
+
 def test_merge_planning():
     s = [sharding.Shard(f"p{i}", 1, b, 0) for i, b in enumerate([10] * 9 + [100] * 2 + [600])]
     groups = sharding.plan_merges(s, target=1000, fan_in=4)
