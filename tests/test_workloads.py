@@ -1,0 +1,49 @@
+"""What the experiments run: the queries, methods and sizes they name, without running them."""
+
+import pytest
+from pyspark.sql import functions as F
+
+from conftest import SMALL
+from patcard.operators.walk import Walker, calls_for, choose_order, sample_size
+from patcard.plans import workloads as W
+from patcard.plans.query import parse_pattern
+from patcard.sources.graphs import PATTERNS, TOY_QUERY, from_rows, g_trade, toy
+
+
+@pytest.fixture
+def seen(spark, monkeypatch):
+    """The calls of compare, which then gives no rows."""
+    out = []
+
+    def compare(graph, queries, names=None, **options):
+        out.append({"graph": graph.name, "queries": queries, "names": names, **options})
+        return W.few_rows(spark, [], W.ROWS)
+
+    monkeypatch.setattr(W, "compare", compare)
+    return out
+
+
+def test_w1_runs_all_small_queries_by_all_methods(spark, seen):
+    W.w1(spark, SMALL)
+    (run,) = seen
+    assert set(run["queries"]) == {f"P{i}" for i in range(1, 8)} and run["names"] is None
+    assert run["ratio"] == 0.001 and run["trials"] == 30
+
+
+def test_all_methods_run_unless_some_are_named(spark):
+    g, q = toy(spark, 2), parse_pattern(TOY_QUERY)
+    rows = W.compare(g, {"toy": q}, ratio=0.1, trials=2).groupBy("method").agg(F.count("*").alias("n"), F.min("truth").alias("truth")).collect()
+    assert {r["method"] for r in rows} == set(W.methods(g, 1, 1)) and len(rows) == 12 and {r["truth"] for r in rows} == {3.0}
+
+
+def test_rounds_of_a_budget_change_no_sample(spark):
+    g, q = toy(spark, 2).persist(), parse_pattern(TOY_QUERY)
+    w = Walker(g, q, choose_order(q, g.stats(q)), k=4)
+    few, many = (calls_for(w, spark, 2, 60, start=n)[0] for n in (2, 60))
+    assert not few.exceptAll(many).count() and sample_size(g, q, 0.1) > 1
+
+
+def test_methods_are_asked_only_what_they_are_defined_for():
+    q = {p: parse_pattern(PATTERNS[p][1]) for p in ("P4", "P5", "P16", "P20")}
+    assert [W.defined("graphlet", x) for x in q.values()] == [False, True, False, False]
+    assert all(W.defined("edge", x) for x in q.values())
