@@ -47,3 +47,11 @@ def test_methods_are_asked_only_what_they_are_defined_for():
     q = {p: parse_pattern(PATTERNS[p][1]) for p in ("P4", "P5", "P16", "P20")}
     assert [W.defined("graphlet", x) for x in q.values()] == [False, True, False, False]
     assert all(W.defined("edge", x) for x in q.values())
+
+
+def test_w2_runs_labelled_chains_stars_and_triangles(spark, seen):
+    W.w2(spark, SMALL)
+    (run,) = seen
+    q = run["queries"]
+    assert {"P13", "P14"} < set(q) and {x.topology() for x in q.values()} == {"chain", "star", "cycle"} and all(len(x.edges) == 3 for x in q.values())
+    assert {x.topology() for x in q.values() if all(x.labels.values())} == {"chain", "star", "cycle"}
