@@ -55,3 +55,9 @@ def test_w2_runs_labelled_chains_stars_and_triangles(spark, seen):
     q = run["queries"]
     assert {"P13", "P14"} < set(q) and {x.topology() for x in q.values()} == {"chain", "star", "cycle"} and all(len(x.edges) == 3 for x in q.values())
     assert {x.topology() for x in q.values() if all(x.labels.values())} == {"chain", "star", "cycle"}
+
+
+def test_w3_runs_both_graphs_and_every_topology(spark, seen):
+    W.w3(spark, SMALL)
+    assert {r["graph"]: set(r["queries"]) for r in seen} == {"G_trade": {*(f"P{i}" for i in range(1, 9)), "P4t"}, "G_act": {"P16", "P17"}}
+    assert {q.topology() for r in seen for q in r["queries"].values()} >= {"chain", "star", "tree", "cycle", "graph"}
