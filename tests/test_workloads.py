@@ -61,3 +61,8 @@ def test_w3_runs_both_graphs_and_every_topology(spark, seen):
     W.w3(spark, SMALL)
     assert {r["graph"]: set(r["queries"]) for r in seen} == {"G_trade": {*(f"P{i}" for i in range(1, 9)), "P4t"}, "G_act": {"P16", "P17"}}
     assert {q.topology() for r in seen for q in r["queries"].values()} >= {"chain", "star", "tree", "cycle", "graph"}
+
+
+def test_w8_runs_three_graphs(spark, seen):
+    W.w8(spark, SMALL)
+    assert {r["graph"]: set(r["queries"]) for r in seen} == {"G_vec": {"P13", "P14"}, "G_conv": {"P15"}, "G_trade": {*(f"P{i}" for i in range(1, 9)), "P4t"}}
