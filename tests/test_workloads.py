@@ -66,3 +66,13 @@ def test_w3_runs_both_graphs_and_every_topology(spark, seen):
 def test_w8_runs_three_graphs(spark, seen):
     W.w8(spark, SMALL)
     assert {r["graph"]: set(r["queries"]) for r in seen} == {"G_vec": {"P13", "P14"}, "G_conv": {"P15"}, "G_trade": {*(f"P{i}" for i in range(1, 9)), "P4t"}}
+
+
+def test_w22_has_a_random_and_a_worst_order():
+    q = parse_pattern(PATTERNS["P6"][1])
+    size = {"placed": (10, 9, 10), "shipped_by": (40, 10, 5), "supp_in": (5, 5, 2), "cust_in": (9, 9, 2)}
+    got = W.orders(q, [dict(zip(("n", "na", "nb"), size[e.label], strict=True)) for e in q.edges])
+    assert list(got) == ["greedy", "random", "worst"] and got["greedy"][0] == "n" and got["worst"] == ("o", "c", "s", "n")
+    assert len(set(got.values())) == 3
+    for order in got.values():
+        assert sorted(order) == sorted(q.names) and all(q.neighbours(v) & set(order[:i]) for i, v in enumerate(order) if i)
