@@ -76,3 +76,17 @@ def test_w22_has_a_random_and_a_worst_order():
     assert len(set(got.values())) == 3
     for order in got.values():
         assert sorted(order) == sorted(q.names) and all(q.neighbours(v) & set(order[:i]) for i, v in enumerate(order) if i)
+
+
+def test_w19_sweeps_all_branchings_with_and_without_adapting_and_replacing(spark, monkeypatch):
+    made = []
+
+    def walk(graph, q, **o):
+        made.append((o["k"], o.get("adaptive", True), o.get("replace", False)))
+        return spark.range(2).select(F.lit(1.0).alias("est"), F.lit(0).cast("long").alias("n_failed"))
+
+    for module in (W, W.S):
+        monkeypatch.setattr(module, "vertex_walk", walk)
+    names = [r["branching"] for r in W.w19(spark, SMALL).collect()]
+    assert set(made[:-1]) == {(k, a, r) for k in (64, 32, 8, 4, 1) for a in (False, True) for r in (False, True)} | {(None, False, False), (None, False, True)}
+    assert names[-1] == "cycle" and len(names) == len(set(names)) == len(made) == 23
