@@ -90,3 +90,16 @@ def test_w19_sweeps_all_branchings_with_and_without_adapting_and_replacing(spark
     names = [r["branching"] for r in W.w19(spark, SMALL).collect()]
     assert set(made[:-1]) == {(k, a, r) for k in (64, 32, 8, 4, 1) for a in (False, True) for r in (False, True)} | {(None, False, False), (None, False, True)}
     assert names[-1] == "cycle" and len(names) == len(set(names)) == len(made) == 23
+
+
+def test_w12_varies_the_sampling_ratio_on_three_graphs(spark, seen):
+    W.w12(spark, SMALL)
+    assert [(r["graph"], r["ratio"]) for r in seen] == [(g, r) for g in ("G_trade", "G_copart", "G_conv") for r in (0.01, 0.001, 0.0001)]
+    assert all("calls" not in r and {"vertex", "edge"} <= set(r["names"]) for r in seen)
+
+
+def test_samples_are_a_share_of_the_fitting_edges(spark):
+    g, q = toy(spark, 2).persist(), parse_pattern(TOY_QUERY)
+    s = sample_size(g, q, 0.2)
+    n = W.methods(g, 0, 1, ratio=0.2)["edge"](q).first()["n_calls"]
+    assert n == s > 1
