@@ -103,3 +103,22 @@ def test_samples_are_a_share_of_the_fitting_edges(spark):
     s = sample_size(g, q, 0.2)
     n = W.methods(g, 0, 1, ratio=0.2)["edge"](q).first()["n_calls"]
     assert n == s > 1
+
+
+def test_w4_runs_queries_of_up_to_32_vertices(spark, seen, monkeypatch):
+    asked = []
+    monkeypatch.setattr(W, "extract_queries", lambda g, edges, count, vertices, **o: asked.append(vertices) or [parse_pattern("(a)-[with]->(b)")])
+    W.w4(spark, SMALL)
+    assert asked == [4, 8, 16, 24, 32] and len(seen[0]["queries"]) == 5
+
+
+def test_large_queries_are_extracted_counted_and_walked(spark):
+    n = 14
+    g = from_rows(spark, [], [(a, "x", b) for a in range(40) for b in (a + 1, (7 * a) % 40)]).persist()
+    (q,) = W.extract_queries(g, n - 1, 1, seed=n, vertices=n)
+    assert len(q.names) == n and len(q.components()) == 1
+    rows = {r["method"]: r for r in W.compare(g, {"q": q}, ["vertex", "edge"], calls=200, trials=1).collect()}
+    star = parse_pattern(", ".join(f"(h)-[x]->(l{i})" for i in range(1, n)))
+    hub = from_rows(spark, [], [(0, "x", i) for i in range(100)])
+    assert rows["vertex"]["truth"] == float(W.exact_count(g, q).first()["cnt"]) >= 1 and rows["vertex"]["est"] > 0
+    assert W.summed_count(hub, star, "double").first()["cnt"] == pytest.approx(100.0 ** (n - 1))
