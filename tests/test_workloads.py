@@ -122,3 +122,12 @@ def test_large_queries_are_extracted_counted_and_walked(spark):
     hub = from_rows(spark, [], [(0, "x", i) for i in range(100)])
     assert rows["vertex"]["truth"] == float(W.exact_count(g, q).first()["cnt"]) >= 1 and rows["vertex"]["est"] > 0
     assert W.summed_count(hub, star, "double").first()["cnt"] == pytest.approx(100.0 ** (n - 1))
+
+
+def test_w10_runs_p5_to_p12_with_an_index_of_each_graph(spark, seen, monkeypatch):
+    built = []
+    monkeypatch.setattr(W, "build_index", lambda g, **o: built.append((g.name, o["use_labels"])) or "index")
+    W.w10(spark, SMALL)
+    assert {r["graph"]: set(r["queries"]) for r in seen} == {"G_trade": {"P5", "P6", "P7", "P8"}, "G_copart": {"P9", "P10", "P11", "P12"}}
+    assert all(r["names"] == ["vertex", "hybrid"] and r["index"] == "index" for r in seen)
+    assert built == [("G_trade", "auto"), ("G_copart", ["Brand#1", "Brand#2", "Brand#3", "ECONOMY", "LARGE", "PROMO", "SMALL"])]
