@@ -131,3 +131,10 @@ def test_w10_runs_p5_to_p12_with_an_index_of_each_graph(spark, seen, monkeypatch
     assert {r["graph"]: set(r["queries"]) for r in seen} == {"G_trade": {"P5", "P6", "P7", "P8"}, "G_copart": {"P9", "P10", "P11", "P12"}}
     assert all(r["names"] == ["vertex", "hybrid"] and r["index"] == "index" for r in seen)
     assert built == [("G_trade", "auto"), ("G_copart", ["Brand#1", "Brand#2", "Brand#3", "ECONOMY", "LARGE", "PROMO", "SMALL"])]
+
+
+def test_w13_mines_up_to_five_and_four_edges(spark, monkeypatch):
+    built = []
+    monkeypatch.setattr(W, "build_index", lambda g, **o: built.append((g.name, o["max_edges"], o["zeta"], o["force"])) or W.HardPatternIndex(g, o["max_edges"], o["zeta"]))
+    assert W.w13(spark, SMALL).count() == 4
+    assert built == [("G_trade", 5, 0.9, False), ("G_trade", 5, 0.0, True), ("G_copart", 4, 0.9, False), ("G_copart", 4, 0.0, True)]
