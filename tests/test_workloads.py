@@ -138,3 +138,11 @@ def test_w13_mines_up_to_five_and_four_edges(spark, monkeypatch):
     monkeypatch.setattr(W, "build_index", lambda g, **o: built.append((g.name, o["max_edges"], o["zeta"], o["force"])) or W.HardPatternIndex(g, o["max_edges"], o["zeta"]))
     assert W.w13(spark, SMALL).count() == 4
     assert built == [("G_trade", 5, 0.9, False), ("G_trade", 5, 0.0, True), ("G_copart", 4, 0.9, False), ("G_copart", 4, 0.0, True)]
+
+
+def test_w14_grows_a_hundredfold_with_patterns_of_five_edges(spark, monkeypatch):
+    built = []
+    monkeypatch.setattr(W, "build_index", lambda g, **o: built.append((g.edges.count(), o["max_edges"])) or W.HardPatternIndex(g, o["max_edges"], o["zeta"]))
+    assert [r["share"] for r in W.w14(spark, SMALL).collect()] == [0.01, 0.1, 1.0]
+    sizes = [n for n, _ in built]
+    assert {m for _, m in built} == {5} and 5 < sizes[1] / sizes[0] < 20 and 8 < sizes[2] / sizes[1] < 12
