@@ -146,3 +146,12 @@ def test_w14_grows_a_hundredfold_with_patterns_of_five_edges(spark, monkeypatch)
     assert [r["share"] for r in W.w14(spark, SMALL).collect()] == [0.01, 0.1, 1.0]
     sizes = [n for n, _ in built]
     assert {m for _, m in built} == {5} and 5 < sizes[1] / sizes[0] < 20 and 8 < sizes[2] / sizes[1] < 12
+
+
+def test_w16_grows_two_graphs_past_their_index(spark, seen, monkeypatch):
+    built = []
+    monkeypatch.setattr(W, "build_index", lambda g, **o: built.append((g.edges.count(), o["max_edges"])) or "index")
+    W.w16(spark, SMALL)
+    assert [set(r["queries"]) for r in seen] == [{"P6"}] * 5 + [{"P16", "P17"}] * 5 and all(r["index"] == "index" for r in seen)
+    whole = [W.g_trade(spark, SMALL).edges.count(), W.g_act(spark, SMALL).edges.count()]
+    assert [m for _, m in built] == [4, 2] and all(0.85 < n / all_ < 0.95 for (n, _), all_ in zip(built, whole, strict=True))
